@@ -66,10 +66,21 @@ def checkpoint_dir(spark: SparkSession) -> str:
     return sc.getCheckpointDir()
 
 
+def release_shuffles(spark: SparkSession) -> None:
+    """Frees shuffle files that no frame can read any more.
+
+    Spark's cleaner removes them when the driver's JVM finds their handles unreachable, which a driver with
+    little to do may not notice for hours while executors' disks fill up.
+    """
+    spark.sparkContext._jvm.System.gc()
+
+
 def durable(df: DataFrame) -> DataFrame:
     """df, written once to the shared folder: lineage ends there and lost executors cost nothing."""
     checkpoint_dir(df.sparkSession)
-    return df.checkpoint()
+    done = df.checkpoint()
+    release_shuffles(df.sparkSession)
+    return done
 
 
 def written(df: DataFrame) -> DataFrame:
@@ -78,6 +89,7 @@ def written(df: DataFrame) -> DataFrame:
 
     path = f"{checkpoint_dir(df.sparkSession)}/noisytree-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    release_shuffles(df.sparkSession)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
@@ -88,17 +100,17 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     rows never exceeds that of the input, and hubs are met through a partial minimum and a join
     whose skewed side can be split, never by gathering a hub's neighbours in a task.
     """
+    sums = lambda e: tuple(e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
     e = durable(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
-    before = None
-    for _ in range(rounds):
+    before = sums(e)
+    for _ in range(rounds if before[0] else 1):
         both = e.select("u", "v").unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        large = large.where("u <> v").distinct()
+        large = both.join(least, "u").where("v > u and v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        e = durable(small.unionByName(low.select("u", F.col("m").alias("v"))).where("u <> v").distinct())
-        now = tuple(e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
+        e = durable(small.unionByName(low.select("u", F.col("m").alias("v"))).distinct())
+        now = sums(e)
         if now == before:
             break
         before = now

@@ -22,12 +22,13 @@ from __future__ import annotations
 
 import hashlib
 import math
+from functools import reduce
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from noisytree.llm.common import components, durable, shipped
+from noisytree.llm.common import components, durable, shipped, written
 from noisytree.llm.shingles import U, mix, shingle_set
 
 THRESHOLD = 0.8
@@ -237,7 +238,7 @@ def verified(pairs: DataFrame, texts: DataFrame, threshold: float, part_rows: in
     parts of about ``part_rows``, each with the left text once, so no item's partners are one task's."""
     many = pairs.groupBy("a").agg(F.count("*").alias("n")).select("a", F.ceil(F.col("n") / part_rows).cast("int").alias("parts"))
     dealt = pairs.join(many, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("parts")).cast("int").alias("part"))
-    dealt = durable(dealt)
+    dealt = durable(dealt)  # its two uses below would run the candidate search twice
     rows = dealt.select("a", "part", F.col("b").alias("item"), F.lit(False).alias("left")).unionByName(dealt.select("a", "part").distinct().select("a", "part", F.col("a").alias("item"), F.lit(True).alias("left")))
     rows = rows.join(texts, "item").repartition("a", "part").sortWithinPartitions("a", "part").select("a", "part", "item", "left", "text")
     return rows.mapInArrow(shipped("noisytree.llm.near_dup", "verify_batches", threshold=threshold), "a long, b long")
@@ -283,46 +284,37 @@ def low_batches(batches):
 
 
 class Join:
-    """The steps of one join, each a frame; rows() puts them together."""
+    """The steps of one join. Texts of all items that share a node with another are gathered once; every
+    later step reads these, so the corpus is shuffled a single time."""
 
     def __init__(self, docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, recall: float = RECALL, small: int = SMALL, depth: int = DEPTH, tile: int = TILE):
         self.threshold, self.small, self.depth, self.tile = threshold, small, depth, tile
         t = docs.select(F.col(key).cast("long").alias("doc_id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text")).withColumn("text_key", F.xxhash64("text"))
-        self.rows = durable(t.mapInArrow(shipped("noisytree.llm.near_dup", "sketch_batches"), "doc_id long, text_key long, set_key binary, size int, sig binary"))
-        some = self.rows.where("set_key is not null")
-        # An item is named by the least document with its set, and read from that document's text.
-        self.items = durable(some.groupBy("set_key").agg(F.min(F.struct("doc_id", "text_key")).alias("k"), F.count("*").alias("copies")).select("set_key", F.col("k.doc_id").alias("doc_id"), F.col("k.text_key").alias("text_key"), F.xxhash64("set_key").alias("item"), "copies"))
-        one = some.join(self.items.select("set_key", "doc_id", "text_key", "item"), ["set_key", "doc_id", "text_key"], "inner").dropDuplicates(["item"])
-        self.sigs = durable(one.select("item", "size", "sig"))
-        self.texts = t
-        self.runs = runs_for(recall, depth)
-
-    def item_texts(self, of: DataFrame) -> DataFrame:
-        """item, text of the items in ``of``; durable, as several joins read it."""
-        wanted = of.select("item").distinct().join(self.items.select("item", "doc_id", "text_key"), "item")
-        found = self.texts.join(wanted, ["doc_id", "text_key"]).select("item", "text").dropDuplicates(["item"])
-        from noisytree.llm.common import written
-
-        return written(found)
-
-    def links(self) -> DataFrame:
-        """a, b: links that connect every class of items (not all links of a class)."""
-        run = shipped("noisytree.llm.near_dup", "root_batches", runs=self.runs)
-        first = self.sigs.select("item", "sig").mapInArrow(run, "item long, node long")
+        sketched = durable(t.mapInArrow(shipped("noisytree.llm.near_dup", "sketch_batches"), "doc_id long, text_key long, set_key binary, size int, sig binary"))
+        self.rows = sketched.select("doc_id", "text_key", F.xxhash64("set_key").alias("item"), F.col("set_key").isNotNull().alias("some"))
+        # An item is named by a hash of its set, and read from the least document that has it.
+        some = sketched.where("set_key is not null").groupBy(F.xxhash64("set_key").alias("item"))
+        self.items = durable(some.agg(F.min(F.struct("doc_id", "text_key")).alias("k"), F.count("*").alias("copies"), F.first("size").alias("size"), F.first("sig").alias("sig")))
+        run = shipped("noisytree.llm.near_dup", "root_batches", runs=runs_for(recall, depth))
+        first = self.items.select("item", "sig").mapInArrow(run, "item long, node long")
         nodes = first.groupBy("node").agg(F.count("*").alias("n"), F.min("item").alias("head")).where("n > 1")
-        level = durable(first.join(nodes, "node"))  # node, item, n, head
-        lows = durable(self.sigs.select("item", "size", "sig").join(level.select("item").distinct(), "item", "left_semi").mapInArrow(shipped("noisytree.llm.near_dup", "low_batches"), "item long, size int, low binary"))
+        self.level = durable(first.join(nodes, "node"))  # node, item, n, head
+        met = self.level.select("item").distinct().join(self.items.select("item", "k.doc_id", "k.text_key"), "item")
+        self.texts = written(t.join(met, ["doc_id", "text_key"]).select("item", "text").dropDuplicates(["item"]))
+        self.lows = self.items.select("item", "size", "sig").mapInArrow(shipped("noisytree.llm.near_dup", "low_batches"), "item long, size int, low binary")
+
+    def classes(self) -> DataFrame:
+        """node, comp of the items that are linked with another (comp: the least item of the class)."""
+        level = self.level
         stars = level.where("item <> head").select(F.col("head").alias("a"), F.col("item").alias("b")).distinct()
-        stars = durable(near_sketches(stars, lows, self.threshold))
-        texts = self.item_texts(stars.select(F.col("a").alias("item")).unionByName(stars.select(F.col("b").alias("item"))))
-        found = durable(verified(stars, texts, self.threshold))
-        classes = components(found)
+        found = verified(near_sketches(stars, self.lows, self.threshold), self.texts, self.threshold)
+        known_classes = durable(components(found))
         pairs, tiles = [], None
         for depth in range(1, self.depth + 1):
             # Only nodes that hold more than one class can add a link that matters.
-            known = level.join(classes.withColumnRenamed("node", "item"), "item", "left").withColumn("comp", F.coalesce("comp", "item"))
+            known = level.join(known_classes.withColumnRenamed("node", "item"), "item", "left").select("node", "item", F.coalesce("comp", "item").alias("comp"))
             mixed = known.groupBy("node").agg(F.count("*").alias("n"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("node", "n")
-            known = durable(known.select("node", "item", "comp").join(mixed, "node"))
+            known = durable(known.join(mixed, "node"))
             few = known.where(F.col("n") <= self.small)
             left = few.select("node", F.col("item").alias("a"), F.col("comp").alias("comp_a"))
             right = few.select("node", F.col("item").alias("b"), F.col("comp").alias("comp_b"))
@@ -333,37 +325,37 @@ class Join:
             if depth == self.depth:
                 tiles = many.select(F.col("node").alias("group"), "item", "n", F.lit(1).cast("long").alias("copies"))
                 break
-            below = many.select("node", "item").join(self.sigs.select("item", "sig"), "item").mapInArrow(shipped("noisytree.llm.near_dup", "child_batches"), "item long, node long")
+            below = many.select("node", "item").join(self.items.select("item", "sig"), "item").mapInArrow(shipped("noisytree.llm.near_dup", "child_batches"), "item long, node long")
             level = durable(below)
-        more = pairs[0]
-        for p in pairs[1:]:
-            more = more.unionByName(p)
-        more = durable(near_sketches(more.distinct(), lows, self.threshold))
-        wanted = more.select(F.col("a").alias("item")).unionByName(more.select(F.col("b").alias("item")))
+        more = reduce(DataFrame.unionByName, pairs).distinct()
+        links = verified(near_sketches(more, self.lows, self.threshold), self.texts, self.threshold)
         if tiles is not None:
-            wanted = wanted.unionByName(tiles.select("item"))
-        if not wanted.isEmpty():
-            texts = self.item_texts(wanted)
-            found = found.unionByName(verified(more, texts, self.threshold))
-            if tiles is not None:
-                found = found.unionByName(tiled(tiles, texts, self.threshold, False, self.tile))
-        return durable(found)
+            links = links.unionByName(tiled(tiles, self.texts, self.threshold, False, self.tile))
+        links = durable(links)
+        if links.isEmpty():
+            return known_classes
+        # The new links join classes: settle these, then name items by them.
+        of = lambda side: known_classes.select(F.col("node").alias(side), F.col("comp").alias(f"comp_{side}"))
+        raised = links.join(of("a"), "a", "left").join(of("b"), "b", "left").select(F.coalesce("comp_a", "a").alias("a"), F.coalesce("comp_b", "b").alias("b"))
+        joined = durable(components(raised))
+        moved = known_classes.join(joined.select(F.col("node").alias("comp"), F.col("comp").alias("new")), "comp", "left").select("node", F.coalesce("new", "comp").alias("comp"))
+        return durable(moved.unionByName(joined.join(known_classes.select("node"), "node", "left_anti")))
 
     def result(self, count: bool = True) -> DataFrame:
         """doc_id, class_id (least doc_id of the class), copies, and with count n_links, n_text_links:
         the other rows within the threshold, and the other sets among them."""
-        classes = components(self.links())  # node, comp: items
-        items = self.items.join(classes.withColumnRenamed("node", "item"), "item", "left").withColumn("comp", F.coalesce("comp", "item"))
+        items = self.items.select("item", "k.doc_id", "copies").join(self.classes().withColumnRenamed("node", "item"), "item", "left").withColumn("comp", F.coalesce("comp", "item"))
         sized = items.groupBy("comp").agg(F.min("doc_id").alias("class_id"), F.count("*").alias("n"))
-        items = durable(items.select("set_key", "item", "comp", "copies").join(sized, "comp"))
+        items = items.select("item", "comp", "copies").join(sized, "comp")
         if count:
+            items = durable(items)
             several = items.where("n > 1").select(F.col("comp").alias("group"), "item", "n", "copies")
-            got = tiled(several, self.item_texts(several), self.threshold, True, self.tile).groupBy("item").agg(F.sum("n_items").alias("n_items"), F.sum("n_docs").alias("n_docs"))
+            got = tiled(several, self.texts, self.threshold, True, self.tile).groupBy("item").agg(F.sum("n_items").alias("n_items"), F.sum("n_docs").alias("n_docs"))
             items = items.join(got, "item", "left").na.fill(0, ["n_items", "n_docs"])
         else:
             items = items.withColumn("n_items", F.lit(0)).withColumn("n_docs", F.lit(0))
-        slim = items.select("set_key", "class_id", "copies", "n_items", "n_docs")
-        out = self.rows.select("doc_id", "text_key", "set_key").join(slim, "set_key", "left")
+        slim = items.select("item", "class_id", "copies", "n_items", "n_docs", F.lit(True).alias("some"))
+        out = self.rows.join(slim, ["item", "some"], "left")
         out = out.select("doc_id", "text_key", F.coalesce("class_id", "doc_id").alias("class_id"), F.coalesce("copies", F.lit(1)).cast("long").alias("copies"), (F.coalesce("n_docs", F.lit(0)) + F.coalesce(F.col("copies") - 1, F.lit(0))).cast("long").alias("n_links"), F.coalesce("n_items", F.lit(0)).cast("long").alias("n_text_links"))
         return out if count else out.select("doc_id", "text_key", "class_id")
 
