@@ -19,15 +19,21 @@ from pyspark.sql import functions as F
 from noisytree.llm.common import WS, durable, let
 
 WINDOW = 8
+
+
+def words(c: dict[str, Column]) -> Column:
+    return F.greatest(c["n_words"], F.lit(1))
+
+
 #: name: (measure, good up to, bad from). A measure from "bad from" on votes bad, otherwise the rule abstains.
 RULES = {
-    "symbols": (lambda c: c["n_symbols"] / c["n_words"], 0.05, 0.25),
+    "symbols": (lambda c: c["n_symbols"] / words(c), 0.05, 0.25),
     "lines": (lambda c: c["n_dup_lines"] / F.greatest(c["n_lines"], F.lit(1)), 0.10, 0.40),
-    "repeats": (lambda c: c["n_repeat_words"] / c["n_words"], 0.10, 0.30),
-    "length": (lambda c: F.abs(c["word_chars"] / c["n_words"] - 6.0), 3.0, 5.0),
-    "sameness": (lambda c: F.sqrt(c["n_words"].cast("double")) / c["n_distinct"], 0.35, 0.60),
+    "repeats": (lambda c: c["n_repeat_words"] / words(c), 0.10, 0.30),
+    "length": (lambda c: F.abs(c["word_chars"] / words(c) - 6.0), 3.0, 5.0),
+    "sameness": (lambda c: F.sqrt(c["n_words"].cast("double")) / F.greatest(c["n_distinct"], F.lit(1)), 0.35, 0.60),
     "capitals": (lambda c: c["n_capitals"] / F.greatest(c["word_chars"], F.lit(1)), 0.15, 0.40),
-    "bangs": (lambda c: c["n_bangs"] / c["n_words"], 0.05, 0.30),
+    "bangs": (lambda c: c["n_bangs"] / words(c), 0.05, 0.30),
 }
 #: Votes for good where every measure is within its "good up to", abstains otherwise.
 PLAIN = "plain"
