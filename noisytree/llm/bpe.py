@@ -16,18 +16,20 @@ from __future__ import annotations
 import hashlib
 import json
 from functools import lru_cache
+from itertools import chain
 
 import numpy as np
 from pyspark.sql import DataFrame
 
-from noisytree.llm.common import shipped
+from noisytree.llm.common import shipped, slices
 
 #: How texts are cut before merging: the published pattern of the byte-level vocabulary (fixed value).
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 #: Pieces of at most so many bytes are merged in a forest.
 FOREST_BYTES = 64
-#: Distinct pieces that a worker remembers; the cache is emptied when it is full.
-CACHE = 600_000
+#: Distinct pieces in each of two generations of a worker's cache: a full one becomes the old one, and
+#: what is not met again while the next fills is forgotten.
+CACHE = 150_000
 NONE = np.int64(1) << 62
 
 
@@ -65,6 +67,8 @@ class Codec:
         self.at_special = regex.compile("(" + "|".join(map(regex.escape, marks)) + ")").split if marks else lambda t: [t]
         self.marks = marks
         self.cache: dict[str, tuple[int, ...]] = {}
+        self.old: dict[str, tuple[int, ...]] = {}
+        self.text_of = [str(i) for i in range(max(self.bytes_of) + 1)]
 
     # -- encoding -----------------------------------------------------------------------------
     def rank_of(self, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -174,12 +178,15 @@ class Codec:
     def learn(self, pieces) -> None:
         """Put the ids of the pieces in the cache."""
         if len(self.cache) > CACHE:
-            self.cache.clear()
+            self.cache, self.old = {}, self.cache
         by_width: dict[int, list[str]] = {}
         raw: dict[str, bytes] = {}
         for p in pieces:
             if p in self.cache:
                 continue
+            if found := self.old.get(p):
+                self.cache[p] = found
+                continue
             b = raw[p] = p.encode("utf-8", "surrogatepass")
             if len(b) == 1:
                 self.cache[p] = (int(self.first[b[0]]),)
@@ -203,17 +210,13 @@ class Codec:
 
     def encode_all(self, texts: list[str]) -> list[list[int]]:
         cut = [self.pieces(t) for t in texts]
-        self.learn({p for x in cut for p in x if isinstance(p, str)})
-        get = self.cache
-        out = []
-        for x in cut:
-            ids: list[int] = []
-            for p in x:
-                if isinstance(p, str):
-                    ids += get[p]
-                else:
-                    ids.append(p)
-            out.append(ids)
+        self.learn(p for p in set().union(*cut) if isinstance(p, str))
+        get, out = self.cache, []
+        for text, x in zip(texts, cut, strict=True):
+            if not any(m in text for m in self.marks):
+                out.append(list(chain.from_iterable(map(get.__getitem__, x))))
+            else:
+                out.append([i for p in x for i in (get[p] if isinstance(p, str) else (p,))])
         return out
 
     # -- decoding -----------------------------------------------------------------------------
@@ -226,46 +229,34 @@ def codec(path: str) -> Codec:
     return Codec(path)
 
 
-def chunks(texts: list[str], most: int = 4_000_000):
-    """Runs of texts of about so many characters, so that a batch of long texts is not cut at once."""
-    start = size = 0
-    for i, t in enumerate(texts):
-        size += len(t)
-        if size >= most:
-            yield start, i + 1
-            start, size = i + 1, 0
-    if start < len(texts):
-        yield start, len(texts)
-
-
-def encode_batches(batches, path: str, keep: list[str], ids: bool):
-    """keep: columns that pass through. ids: give the ids and the decoded text, not only their digests."""
+def encode_batches(batches, path: str, keep: list[str], ids: bool, decoded: bool):
+    """keep: columns that pass through. ids, decoded: give these too, not only their digests."""
     import pyarrow as pa
 
     own = codec(path)
-    for batch in batches:
-        texts = [t or "" for t in batch.column("text").to_pylist()]
-        n, id_sha, text_sha, all_ids, all_texts = [], [], [], [], []
-        for a, b in chunks(texts):
-            for got in own.encode_all(texts[a:b]):
-                back = own.decode(got)
-                n.append(len(got))
-                id_sha.append(hashlib.sha256(",".join(map(str, got)).encode()).hexdigest())
-                text_sha.append(hashlib.sha256(back.encode("utf-8", "surrogatepass")).hexdigest())
-                if ids:
-                    all_ids.append(got)
-                    all_texts.append(back)
-        cols = [batch.column(c) for c in keep] + [pa.array(n, pa.int64()), pa.array(id_sha, pa.string()), pa.array(text_sha, pa.string())]
-        names = [*keep, "n_tokens", "ids_sha256", "decoded_sha256"]
-        if ids:
-            cols += [pa.array(all_ids, pa.list_(pa.int32())), pa.array(all_texts, pa.string())]
-            names += ["ids", "decoded"]
-        yield pa.RecordBatch.from_arrays(cols, names)
-
-
-def encode(docs: DataFrame, path: str, ids: bool = True, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """keep..., n_tokens, ids_sha256, decoded_sha256, and with ids also ids and decoded, of docs.text."""
+    text_of = own.text_of.__getitem__
+    for whole in batches:
+        for batch in slices(whole):
+            got = own.encode_all([t or "" for t in batch.column("text").to_pylist()])
+            back = [own.decode(x) for x in got]
+            cols = [batch.column(c) for c in keep] + [pa.array([len(x) for x in got], pa.int64())]
+            cols.append(pa.array([hashlib.sha256(",".join(map(text_of, x)).encode()).hexdigest() for x in got], pa.string()))
+            cols.append(pa.array([hashlib.sha256(x.encode("utf-8", "surrogatepass")).hexdigest() for x in back], pa.string()))
+            names = [*keep, "n_tokens", "ids_sha256", "decoded_sha256"]
+            if ids:
+                offsets = np.concatenate([[0], np.cumsum([len(x) for x in got])]).astype(np.int32)
+                flat = np.fromiter(chain.from_iterable(got), np.int32, offsets[-1])
+                cols.append(pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat)))
+                names.append("ids")
+            if decoded:
+                cols.append(pa.array(back, pa.string()))
+                names.append("decoded")
+            yield pa.RecordBatch.from_arrays(cols, names)
+
+
+def encode(docs: DataFrame, path: str, ids: bool = True, decoded: bool = True, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """keep..., n_tokens, ids_sha256, decoded_sha256, and where asked for ids and decoded, of docs.text."""
     fields = [f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep]
     fields += ["n_tokens long", "ids_sha256 string", "decoded_sha256 string"]
-    fields += ["ids array<int>", "decoded string"] if ids else []
-    return docs.select(*keep, docs["text"].cast("string").alias("text")).mapInArrow(shipped("noisytree.llm.bpe", "encode_batches", path=path, keep=list(keep), ids=ids), ", ".join(fields))
+    fields += ["ids array<int>"] * ids + ["decoded string"] * decoded
+    return docs.select(*keep, docs["text"].cast("string").alias("text")).mapInArrow(shipped("noisytree.llm.bpe", "encode_batches", path=path, keep=list(keep), ids=ids, decoded=decoded), ", ".join(fields))

@@ -55,6 +55,23 @@ def shipped(module: str, name: str, **kwargs):
     return run
 
 
+def slices(batch, column: str = "text", most: int = 1_000_000):
+    """Parts of an Arrow batch of about so many bytes of text, so that no more becomes Python objects at once."""
+    import numpy as np
+    import pyarrow.compute as pc
+
+    size = np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False)) // most
+    edges = [0, *(np.flatnonzero(np.diff(size)) + 1).tolist(), batch.num_rows]
+    for a, b in zip(edges, edges[1:], strict=False):
+        if a < b:
+            yield batch.slice(a, b - a)
+
+
+def parts(batches, column: str = "text"):
+    for batch in batches:
+        yield from slices(batch, column)
+
+
 def checkpoint_dir(spark: SparkSession) -> str:
     """The shared folder that the cluster names; a folder of our own only where none is set."""
     sc = spark.sparkContext
@@ -70,8 +87,13 @@ def release_shuffles(spark: SparkSession) -> None:
     """Frees shuffle files that no frame can read any more.
 
     Spark's cleaner removes them when the driver's JVM finds their handles unreachable, which a driver with
-    little to do may not notice for hours while executors' disks fill up.
+    little to do may not notice for hours while executors' disks fill up. The last query's plan is let go of
+    only after a first collection.
     """
+    import time
+
+    spark.sparkContext._jvm.System.gc()
+    time.sleep(0.2)
     spark.sparkContext._jvm.System.gc()
 
 
@@ -93,6 +115,17 @@ def written(df: DataFrame) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def dropped(df: DataFrame) -> None:
+    """Deletes the files of a frame that written() made and no later step reads."""
+    sc = df.sparkSession.sparkContext
+    home = checkpoint_dir(df.sparkSession)
+    for path in {f.rsplit("/", 1)[0] for f in df.inputFiles()}:
+        if not path.rsplit("/", 1)[1].startswith("noisytree-"):
+            raise ValueError(f"{path} was not written under {home} by written()")
+        target = sc._jvm.org.apache.hadoop.fs.Path(path)
+        target.getFileSystem(sc._jsc.hadoopConfiguration()).delete(target, True)
+
+
 def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     """(node, comp): the least node of each node's component. edges: a, b of any order.
 

@@ -17,7 +17,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from noisytree.llm.common import shipped
+from noisytree.llm.common import parts, shipped
 from noisytree.llm.shingles import words
 
 BITS = 14
@@ -107,7 +107,7 @@ def train(rows: list[tuple[np.ndarray, np.ndarray, float]], epochs: int = EPOCHS
 def feature_batches(batches):
     import pyarrow as pa
 
-    for batch in batches:
+    for batch in parts(batches):
         got = [features(t) for t in batch.column("text").to_pylist()]
         cols = [pa.array([a for a, _ in got], pa.list_(pa.int64())), pa.array([x for _, x in got], pa.list_(pa.float32()))]
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("label"), *cols], ["doc_id", "label", "at", "x"])
@@ -116,7 +116,7 @@ def feature_batches(batches):
 def score_batches(batches, model: dict | None, keep: list[str]):
     import pyarrow as pa
 
-    for batch in batches:
+    for batch in parts(batches, "_text"):
         scores = []
         for t in batch.column("_text").to_pylist():
             z = margin(model, *features(t))[0] if model else 0.0

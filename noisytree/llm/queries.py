@@ -16,7 +16,7 @@ def tokenizer_path(name: str) -> str:
 
 
 def op1_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return bpe.encode(table(spark, sf_dir, "documents"), tokenizer_path("byte_bpe_50k.json"), ids=False)
+    return bpe.encode(table(spark, sf_dir, "documents"), tokenizer_path("byte_bpe_50k.json"), ids=False, decoded=False)
 
 
 def op2_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -110,5 +110,30 @@ SELECT doc_id, source, lang, text, unnest(range(1, n_copies + 1))::INTEGER AS co
 """
 
 
+def _secrets_sql() -> str:
+    quoted = {k: p.replace("'", "''").replace('\\"', '"').replace("\\''", "''") for k, p in (secrets.PATTERNS | {"rare": secrets.RARE}).items()}
+    kinds = " UNION ALL ".join(
+        f"SELECT rid, doc_id, source, '{k}' AS kind, {i} AS ord, {secrets.LEAST[k]} AS least, regexp_extract_all(t, '{p}', 0) AS h, regexp_extract_all(t, '{p}', {secrets.GROUP[k]}) AS s, string_split_regex(t, '{p}') AS g FROM d"
+        for i, (k, p) in enumerate(quoted.items())
+    )
+    listed = "coalesce(string_agg(kind || ':' || a || ':' || b, ',' ORDER BY a, ord){}, '')"
+    return f"""
+WITH d AS (SELECT row_number() OVER () AS rid, doc_id, coalesce(source, '') AS source, coalesce(text, '') AS t FROM documents),
+k AS ({kinds}),
+u AS (SELECT rid, doc_id, source, kind, ord, least, i, h[i] AS hit, s[i] AS sec, g[i] AS gap FROM k, LATERAL (SELECT unnest(range(1, len(h) + 1)) AS i)),
+p AS (SELECT *, (sum(length(gap)) OVER (PARTITION BY rid, kind ORDER BY i) + coalesce(sum(length(hit)) OVER (PARTITION BY rid, kind ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))::BIGINT AS a FROM u),
+sp AS (SELECT *, a + length(hit) AS b FROM p WHERE length(sec) >= least),
+cand AS (SELECT * FROM sp WHERE kind <> 'rare' UNION ALL SELECT * FROM sp w WHERE kind = 'rare' AND regexp_matches(sec, '[0-9]') AND regexp_matches(sec, '[A-Za-z]')
+  AND NOT EXISTS (SELECT 1 FROM sp b WHERE b.kind <> 'rare' AND b.rid = w.rid AND b.a < w.b AND b.b > w.a)),
+own AS (SELECT sec, count(DISTINCT source) AS owners, count(DISTINCT (source, doc_id)) AS repos FROM cand GROUP BY 1),
+j AS (SELECT c.*, len(list_distinct(string_split(sec, ''))) >= {secrets.VARIED} AND NOT (owners >= {secrets.EXAMPLE_OWNERS} AND repos >= {secrets.EXAMPLE_REPOS}) AS live FROM cand c JOIN own USING (sec)),
+r AS (SELECT rid, count(*) FILTER (kind = 'assign') AS n_assign, count(*) FILTER (kind = 'access') AS n_access, count(*) FILTER (kind = 'hex') AS n_hex,
+  {listed.format(" FILTER (kind <> 'rare')")} AS base, {listed.format(" FILTER (kind <> 'rare' OR live)")} AS spans,
+  count(*) FILTER (live) AS n_live, count(*) FILTER (NOT live AND kind <> 'rare') AS n_example FROM j GROUP BY 1)
+SELECT doc_id, coalesce(n_assign, 0) AS n_assign, coalesce(n_access, 0) AS n_access, coalesce(n_hex, 0) AS n_hex, sha256(coalesce(base, '')) AS base_sha256,
+  coalesce(spans, '') AS spans, coalesce(n_live, 0) AS n_live, coalesce(n_example, 0) AS n_example FROM d LEFT JOIN r USING (rid)
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op2_topk": _TOPK, "op4_mix": _MIX}
+    return {"op2_topk": _TOPK, "op3_secrets": _secrets_sql(), "op4_mix": _MIX}

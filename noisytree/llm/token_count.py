@@ -22,7 +22,7 @@ from functools import lru_cache
 
 from pyspark.sql import DataFrame
 
-from noisytree.llm.common import shipped
+from noisytree.llm.common import parts, shipped
 
 CHUNK = 60_000
 OVERLAP = 2_000
@@ -98,7 +98,7 @@ def count_batches(batches, path: str, keep: list[str], chunk: int, overlap: int,
     import pyarrow as pa
 
     tok = tokenizer(path)
-    for batch in batches:
+    for batch in parts(batches):
         texts = [t or "" for t in batch.column("text").to_pylist()]
         counts = [(0, 1, 0)] * len(texts)
         short: list[int] = []
