@@ -27,9 +27,10 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def secret_scan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Secrets that look live are replaced by a mark; widely copied examples stay."""
-    live = secrets.scan(docs).where(F.size("live") > 0).select("doc_id", F.col("text_key").alias("_key"), F.col("live").alias("_live")).dropDuplicates(["doc_id", "_key"])
+    known = F.coalesce("doc_id", F.lit(-(1 << 63)).cast("long")).alias("_doc")  # a missing id matches itself
+    live = secrets.scan(docs).where(F.size("live") > 0).select(known, F.col("text_key").alias("_key"), F.col("live").alias("_live")).dropDuplicates(["_doc", "_key"])
     text = F.coalesce(F.col("text"), F.lit(""))
-    out = docs.withColumn("_key", F.xxhash64(text)).join(live, ["doc_id", "_key"], "left")
+    out = docs.withColumn("_key", F.xxhash64(text)).withColumn("_doc", known).join(live, ["_doc", "_key"], "left")
     changed = F.when(F.col("_live").isNull(), F.col("text")).otherwise(secrets.redacted(text, F.col("_live")))
     out = out.withColumn("text", changed).withColumn("n_chars", F.when(F.col("_live").isNull(), F.col("n_chars")).otherwise(F.length("text").cast("long")))
     return out.select(*docs.columns)
@@ -42,7 +43,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The ids of each text, with the digests of ids and of what they decode to."""
-    return bpe.encode(docs, tokenizer_path("byte_bpe_50k.json"), keep=("doc_id", "lang", "source")).drop("decoded")
+    return bpe.encode(docs, tokenizer_path("byte_bpe_50k.json"), decoded=False, keep=("doc_id", "lang", "source"))
 
 
 STAGES = [

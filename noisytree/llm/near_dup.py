@@ -15,7 +15,7 @@ products that return counts, never pairs.
 Cases: a null text, or one without a word, has no shingles and no links and is a class of its own; a
 text of 1 to 4 words is one shingle of all of them; rows that repeat an id and a text count as
 copies; rows that repeat an id with other texts are taken apart by their text and returned a row
-each; an empty table gives no rows; extra columns are ignored.
+each; a missing id counts as the least of all; an empty table gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -25,10 +25,10 @@ import math
 from functools import reduce
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from noisytree.llm.common import components, durable, shipped, written
+from noisytree.llm.common import components, durable, parts, shipped, written
 from noisytree.llm.shingles import U, mix, shingle_set
 
 THRESHOLD = 0.8
@@ -74,7 +74,7 @@ def sketch(s: np.ndarray) -> np.ndarray:
 def sketch_batches(batches):
     import pyarrow as pa
 
-    for batch in batches:
+    for batch in parts(batches):
         keys, size, sigs = [], [], []
         for t in batch.column("text").to_pylist():
             s = shingle_set(t)
@@ -283,13 +283,18 @@ def low_batches(batches):
         yield pa.RecordBatch.from_arrays([batch.column("item"), batch.column("size"), pa.array(low, pa.binary())], ["item", "size", "low"])
 
 
+def no_id() -> Column:
+    """Stands for a missing id within: the least of all, as null sorts."""
+    return F.lit(-(1 << 63)).cast("long")
+
+
 class Join:
     """The steps of one join. Texts of all items that share a node with another are gathered once; every
     later step reads these, so the corpus is shuffled a single time."""
 
     def __init__(self, docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, recall: float = RECALL, small: int = SMALL, depth: int = DEPTH, tile: int = TILE):
         self.threshold, self.small, self.depth, self.tile = threshold, small, depth, tile
-        t = docs.select(F.col(key).cast("long").alias("doc_id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text")).withColumn("text_key", F.xxhash64("text"))
+        t = docs.select(F.coalesce(F.col(key).cast("long"), no_id()).alias("doc_id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text")).withColumn("text_key", F.xxhash64("text"))
         sketched = durable(t.mapInArrow(shipped("noisytree.llm.near_dup", "sketch_batches"), "doc_id long, text_key long, set_key binary, size int, sig binary"))
         self.rows = sketched.select("doc_id", "text_key", F.xxhash64("set_key").alias("item"), F.col("set_key").isNotNull().alias("some"))
         # An item is named by a hash of its set, and read from the least document that has it.
@@ -342,8 +347,9 @@ class Join:
         return durable(moved.unionByName(joined.join(known_classes.select("node"), "node", "left_anti")))
 
     def result(self, count: bool = True) -> DataFrame:
-        """doc_id, class_id (least doc_id of the class), copies, and with count n_links, n_text_links:
-        the other rows within the threshold, and the other sets among them."""
+        """doc_id, class_id (least doc_id of the class), copies, n_links and n_text_links: the other rows
+        within the threshold, and the other sets among them. Without count: doc_id, text_key, comp, where comp
+        tells classes apart even if ids repeat."""
         items = self.items.select("item", "k.doc_id", "copies").join(self.classes().withColumnRenamed("node", "item"), "item", "left").withColumn("comp", F.coalesce("comp", "item"))
         sized = items.groupBy("comp").agg(F.min("doc_id").alias("class_id"), F.count("*").alias("n"))
         items = items.select("item", "comp", "copies").join(sized, "comp")
@@ -354,10 +360,13 @@ class Join:
             items = items.join(got, "item", "left").na.fill(0, ["n_items", "n_docs"])
         else:
             items = items.withColumn("n_items", F.lit(0)).withColumn("n_docs", F.lit(0))
-        slim = items.select("item", "class_id", "copies", "n_items", "n_docs", F.lit(True).alias("some"))
+        slim = items.select("item", "comp", "class_id", "copies", "n_items", "n_docs", F.lit(True).alias("some"))
         out = self.rows.join(slim, ["item", "some"], "left")
-        out = out.select("doc_id", "text_key", F.coalesce("class_id", "doc_id").alias("class_id"), F.coalesce("copies", F.lit(1)).cast("long").alias("copies"), (F.coalesce("n_docs", F.lit(0)) + F.coalesce(F.col("copies") - 1, F.lit(0))).cast("long").alias("n_links"), F.coalesce("n_items", F.lit(0)).cast("long").alias("n_text_links"))
-        return out if count else out.select("doc_id", "text_key", "class_id")
+        if not count:
+            return out.select("doc_id", "text_key", F.coalesce("comp", F.xxhash64("doc_id", "text_key")).alias("comp"))
+        known = lambda c: F.when(c != no_id(), c)
+        out = out.select(known(F.col("doc_id")).alias("doc_id"), "text_key", known(F.coalesce("class_id", "doc_id")).alias("class_id"), F.coalesce("copies", F.lit(1)).cast("long").alias("copies"), (F.coalesce("n_docs", F.lit(0)) + F.coalesce(F.col("copies") - 1, F.lit(0))).cast("long").alias("n_links"), F.coalesce("n_items", F.lit(0)).cast("long").alias("n_text_links"))
+        return out
 
 
 def join(docs: DataFrame, **options) -> DataFrame:
@@ -368,6 +377,6 @@ def join(docs: DataFrame, **options) -> DataFrame:
 def deduplicated(docs: DataFrame, key: str = "doc_id", text: str = "text", **options) -> DataFrame:
     """docs without the rows that are not their class's first (by key, then by a hash of the text)."""
     found = Join(docs, key, text, **options).result(count=False).distinct()
-    first = found.groupBy("class_id").agg(F.min(F.struct("doc_id", "text_key")).alias("k")).select(F.col("k.doc_id").alias("_doc"), F.col("k.text_key").alias("_text"))
-    rows = docs.withColumn("_doc", F.col(key).cast("long")).withColumn("_text", F.xxhash64(F.coalesce(F.col(text).cast("string"), F.lit(""))))
+    first = found.groupBy("comp").agg(F.min(F.struct("doc_id", "text_key")).alias("k")).select(F.col("k.doc_id").alias("_doc"), F.col("k.text_key").alias("_text"))
+    rows = docs.withColumn("_doc", F.coalesce(F.col(key).cast("long"), no_id())).withColumn("_text", F.xxhash64(F.coalesce(F.col(text).cast("string"), F.lit(""))))
     return rows.join(first, ["_doc", "_text"], "left_semi").dropDuplicates(["_doc", "_text"]).select(*docs.columns)

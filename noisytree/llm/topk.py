@@ -6,7 +6,7 @@ groups of ``fan`` tiles until one is left, so no task sees more than fan * k row
 Tiles have a fixed number of rows, so a task's memory does not grow with the tables; the number of
 tiles does, as the product of queries and rows demands.
 
-Cases: vectors that are null or hold a null or non-finite component take no part; vectors are
+Cases: vectors that are null, without an id, or hold a null or non-finite component take no part; vectors are
 compared with those of their own length only; ties go to the smaller id; a repeated id is one row
 for each of its vectors, and never a result of a query of its own id; empty tables give no rows.
 Scores are exact: products are taken in doubles where no sum can pass 2**53, else in whole numbers
@@ -29,7 +29,7 @@ LONG = (1 << 63) - 1
 def quantised(vectors: DataFrame, id_col: str, vec_col: str, scale: int = 64) -> DataFrame:
     """id, v: array of longs floor(scale * x), of the vectors that take part."""
     ok = F.col(vec_col).isNotNull() & F.forall(vec_col, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x.cast("double")) < float("inf")))
-    return vectors.where(F.coalesce(ok, F.lit(False))).select(F.col(id_col).cast("long").alias("id"), F.transform(vec_col, lambda x: F.floor(F.lit(scale) * x.cast("double"))).alias("v"))
+    return vectors.where(F.col(id_col).isNotNull() & F.coalesce(ok, F.lit(False))).select(F.col(id_col).cast("long").alias("id"), F.transform(vec_col, lambda x: F.floor(F.lit(scale) * x.cast("double"))).alias("v"))
 
 
 def tile_batches(pieces, k: int):

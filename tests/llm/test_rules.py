@@ -66,6 +66,13 @@ def test_empty_table_repeated_rows_and_null_owner(spark, docs):
     assert len(got) == 2 and all(r.n_assign == 1 and r.n_live == 1 for r in got)
 
 
+def test_missing_ids_are_redacted_too(spark, docs):
+    import corpus_pipeline
+
+    out = corpus_pipeline.secret_scan(spark, docs(["token=abcdefgh12", None, "x"], ids=[None, None, 2]), "")
+    assert sorted((r.doc_id or -1, r.text or "") for r in out.collect()) == [(-1, ""), (-1, "[SECRET]"), (2, "x")]
+
+
 def plain_counts(t):
     t = t or ""
     words = re.findall(r"[^\x20\x09-\x0D]+", t)

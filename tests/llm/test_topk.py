@@ -5,7 +5,7 @@ from noisytree.llm import topk
 
 
 def brute(rows, k, step):
-    ok = [(i, [int(np.floor(64 * float(np.float32(x)))) for x in v]) for i, v in rows if v is not None and all(x is not None and np.isfinite(x) for x in v)]
+    ok = [(i, [int(np.floor(64 * float(np.float32(x)))) for x in v]) for i, v in rows if i is not None and v is not None and all(x is not None and np.isfinite(x) for x in v)]
     out = {}
     for qi, q in ok:
         if qi % step == 0:
@@ -18,7 +18,7 @@ def brute(rows, k, step):
 def test_equals_brute_force(spark, tiles):
     rng = np.random.default_rng(1)
     rows = [(i, [float(x) for x in np.round(rng.normal(0, 1, 4), 1)]) for i in range(120)]
-    rows += [(130, None), (140, [1.0, None, 0.0, 0.0]), (150, [float("nan")] * 4), (160, [float("inf"), 0.0, 0.0, 0.0]), (170, [0.5, 0.5]), (175, [1.0, 2.0])]
+    rows += [(130, None), (None, [1.0] * 4), (140, [1.0, None, 0.0, 0.0]), (150, [float("nan")] * 4), (160, [float("inf"), 0.0, 0.0, 0.0]), (170, [0.5, 0.5]), (175, [1.0, 2.0])]
     rows += [(180 + i, rows[0][1]) for i in range(30)]  # ties
     df = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
     v = topk.quantised(df, "vec_id", "embedding")
