@@ -54,6 +54,7 @@ class Codec:
         self.special = {a["content"]: a["id"] for a in spec["added_tokens"]}
         self.bytes_of |= {i: s.encode() for s, i in self.special.items()}
         pairs = [(vocab[a], vocab[b], rank, vocab[a + b]) for rank, (a, b) in enumerate(spec["model"]["merges"])]
+        self.by_id = [self.bytes_of.get(i, b"") for i in range(max(self.bytes_of) + 1)]
         self.merge = {(a, b): (rank, new) for a, b, rank, new in pairs}
         keys = np.array([(a << 20) | b for a, b, _, _ in pairs] or [-1], np.int64)
         order = np.argsort(keys)
@@ -82,11 +83,10 @@ class Codec:
         """The ids of pieces of 2 to FOREST_BYTES bytes, one tree a row."""
         n, width = len(pieces), 1 << (max(map(len, pieces)) - 1).bit_length()
         size = np.array([len(p) for p in pieces])
+        slot = np.arange(width + 1)
         raw = np.zeros((n, width + 1), np.uint8)
-        for i, p in enumerate(pieces):
-            raw[i, : len(p)] = np.frombuffer(p, np.uint8)
+        raw[slot[None, :] < size[:, None]] = np.frombuffer(b"".join(pieces), np.uint8)
         ids = self.first[raw]
-        slot = np.arange(width + 1)
         after = np.broadcast_to(slot + 1, (n, width + 1)).copy()
         before = np.broadcast_to(slot - 1, (n, width + 1)).copy()
         after[slot[None, :] + 1 >= size[:, None]] = width  # width: no symbol
@@ -131,7 +131,9 @@ class Codec:
                 rows, prev = live[has], prev[has]
                 put(rows, prev, pair(rows, prev))
             live = live[tree[live, 1] != NONE]
-        return [tuple(ids[i, :width][alive[i]].tolist()) for i in range(n)]
+        flat = ids[:, :width][alive].tolist()
+        end = np.cumsum(alive.sum(1)).tolist()
+        return [tuple(flat[a:b]) for a, b in zip([0, *end], end, strict=False)]
 
     def single(self, piece: bytes) -> tuple[int, ...]:
         """The ids of one piece of any length: a tree of minima in plain lists."""
@@ -210,18 +212,15 @@ class Codec:
 
     def encode_all(self, texts: list[str]) -> list[list[int]]:
         cut = [self.pieces(t) for t in texts]
-        self.learn(p for p in set().union(*cut) if isinstance(p, str))
-        get, out = self.cache, []
-        for text, x in zip(texts, cut, strict=True):
-            if not any(m in text for m in self.marks):
-                out.append(list(chain.from_iterable(map(get.__getitem__, x))))
-            else:
-                out.append([i for p in x for i in (get[p] if isinstance(p, str) else (p,))])
-        return out
+        distinct = set().union(*cut)
+        marked = distinct.intersection(self.special.values())
+        self.learn(distinct - marked)
+        get = self.cache if not marked else self.cache | {i: (i,) for i in marked}
+        return [list(chain.from_iterable(map(get.__getitem__, x))) for x in cut]
 
     # -- decoding -----------------------------------------------------------------------------
     def decode(self, ids: list[int]) -> str:
-        return b"".join(map(self.bytes_of.__getitem__, ids)).decode("utf-8", "replace")
+        return b"".join(map(self.by_id.__getitem__, ids)).decode("utf-8", "replace")
 
 
 @lru_cache(maxsize=4)
@@ -236,7 +235,7 @@ def encode_batches(batches, path: str, keep: list[str], ids: bool, decoded: bool
     own = codec(path)
     text_of = own.text_of.__getitem__
     for whole in batches:
-        for batch in slices(whole):
+        for batch in slices(whole, most=2_000_000):
             got = own.encode_all([t or "" for t in batch.column("text").to_pylist()])
             back = [own.decode(x) for x in got]
             cols = [batch.column(c) for c in keep] + [pa.array([len(x) for x in got], pa.int64())]
