@@ -55,7 +55,8 @@ def touched(nodes: DataFrame, queries: DataFrame, domain: Domain, value: str, st
     maximal, cut = _taken(domain)
     q = queries.select("qid", *[f"q{c}" for c in domain.box])
     if strategy == "auto":
-        strategy = "nested"
+        known = h is not None and domain.d == 2
+        strategy = "cells" if known and (1 << domain.d) ** h * queries.count() > NESTED_PAIRS else "nested"
     if strategy == "nested":
         # One theta join; the boxes' number is checked before they are broadcast.
         few = q.limit(BROADCAST_BOXES + 1).count() <= BROADCAST_BOXES
@@ -102,7 +103,7 @@ def cell_keys(queries: DataFrame, domain: Domain, h: int) -> DataFrame:
     edge = (F.col("ix") < F.col("fx") + 3) | (F.col("ix") > F.col("lx") - 3)
     whole = F.sequence("fy", "ly")
     ends_only = F.array_distinct(F.concat(F.slice(whole, 1, 3), F.slice(whole, F.greatest(F.lit(1), F.size(whole) - 2), F.lit(3))))
-    q = q.withColumn("iy", F.explode(F.when(edge | (F.col("level") == 0) & F.lit(False), whole).otherwise(ends_only)))
+    q = q.withColumn("iy", F.explode(F.when(edge, whole).otherwise(ends_only)))
     return q.withColumn("node_id", interleave([F.col("ix"), F.col("iy")], h)).drop("fx", "lx", "fy", "ly", "ix", "iy")
 
 

@@ -85,7 +85,7 @@ def by_blocks(nodes: DataFrame, eps_levels: list[float], f: int = 4, cut: int |
     s = np.zeros(f ** (h - cut))
     for r in sums.collect():
         s[r["block"]] = r["s"]
-    top_y = {r["level"]: {} for r in ()}
+    top_y: dict[int, dict[int, float]] = {}
     for r in nodes.where(F.col("level") > cut).select("level", "node_id", F.coalesce("y", F.lit(0.0)).alias("y")).collect():
         top_y.setdefault(r["level"], {})[r["node_id"]] = r["y"]
     up = {cut: s}

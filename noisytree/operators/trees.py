@@ -72,7 +72,7 @@ def grow(points: DataFrame, domain: Domain, depth: int, method: str, eps: list[f
     taken: see sampling.required_eps). scope: a fresh sample each level, or one shared by all."""
     everyone = clamped(points, domain).withColumn("node_id", F.lit(0).cast("long"))
     picked = bernoulli(everyone, sample, "0", noise) if sample and scope == "shared" else everyone
-    boxes, splits, done = [durable(root_box(points, domain))], [], []
+    boxes, splits = [durable(root_box(points, domain))], []
     for b in range(depth):
         axis = domain.axes[(first + b) % domain.d].name
         mine = picked if not sample or scope == "shared" else bernoulli(picked, sample, str(b), noise)
@@ -84,7 +84,6 @@ def grow(points: DataFrame, domain: Domain, depth: int, method: str, eps: list[f
         boxes.append(durable(child_boxes(boxes[-1], found, axis)))
         everyone = descend(everyone, found, axis, 1 << b)
         picked = descend(picked, found, axis, 1 << b) if sample else everyone
-        done.append(found)
     return Grown(domain, everyone, splits, boxes)
 
 

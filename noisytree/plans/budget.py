@@ -88,9 +88,9 @@ def for_workload_nodes(nodes: DataFrame, h: int, eps: float, d: int = 2, floor:
         every = every.unionByName(up)
     every = every.withColumn("share", F.cbrt("w") / F.cbrt("c"))
     # What is left at a node: the product over its strict ancestors, as a sum of logarithms.
-    path = every.select("level", "node_id", "share", F.explode(F.sequence(F.col("level") + 1, F.lit(h))).alias("up")).where("up > level") if h else None
-    if path is None:
-        return every.select("level", "node_id", (F.lit(eps) * F.col("share")).alias("eps"))
+    if not h:
+        return every.select("level", "node_id", F.lit(eps).alias("eps"))
+    path = every.where(F.col("level") < h).select("level", "node_id", F.explode(F.sequence(F.col("level") + 1, F.lit(h))).alias("up"))
     path = path.withColumn("anc", F.expr(f"shiftright(node_id, {d} * (up - level))"))
     anc = every.select(F.col("level").alias("up"), F.col("node_id").alias("anc"), (1 - F.col("share")).alias("rest"))
     rest = path.join(anc, ["up", "anc"]).groupBy("level", "node_id").agg(F.sum(F.log("rest")).alias("lr"))
