@@ -29,7 +29,7 @@ PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\
 FOREST_BYTES = 64
 #: Distinct pieces in each of two generations of a worker's cache: a full one becomes the old one, and
 #: what is not met again while the next fills is forgotten.
-CACHE = 150_000
+CACHE = 300_000
 NONE = np.int64(1) << 62
 
 
@@ -235,7 +235,7 @@ def encode_batches(batches, path: str, keep: list[str], ids: bool, decoded: bool
     own = codec(path)
     text_of = own.text_of.__getitem__
     for whole in batches:
-        for batch in slices(whole, most=2_000_000):
+        for batch in slices(whole, most=4_000_000):
             got = own.encode_all([t or "" for t in batch.column("text").to_pylist()])
             back = [own.decode(x) for x in got]
             cols = [batch.column(c) for c in keep] + [pa.array([len(x) for x in got], pa.int64())]

@@ -99,9 +99,11 @@ def release_shuffles(spark: SparkSession) -> None:
 
 def durable(df: DataFrame) -> DataFrame:
     """df, written once to the shared folder: lineage ends there and lost executors cost nothing."""
-    checkpoint_dir(df.sparkSession)
+    spark = df.sparkSession
+    checkpoint_dir(spark)
     done = df.checkpoint()
-    release_shuffles(df.sparkSession)
+    del df  # the plan that ran would keep its shuffles
+    release_shuffles(spark)
     return done
 
 
@@ -109,10 +111,12 @@ def written(df: DataFrame) -> DataFrame:
     """Like durable(), as compressed Parquet, for frames too large for checkpoint()'s plain rows."""
     import uuid
 
-    path = f"{checkpoint_dir(df.sparkSession)}/noisytree-{uuid.uuid4().hex}"
+    spark, schema = df.sparkSession, df.schema
+    path = f"{checkpoint_dir(spark)}/noisytree-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    release_shuffles(df.sparkSession)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    del df
+    release_shuffles(spark)
+    return spark.read.schema(schema).parquet(path)
 
 
 def dropped(df: DataFrame) -> None:
