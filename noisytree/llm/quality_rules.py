@@ -1,9 +1,11 @@
 """Quality rules as weak supervision, in DataFrame operations only.
 
-Each rule votes for good (1) or for bad (-1), or abstains (0). Expectation-maximisation over the
-counts of the vote patterns (at most 2 to the number of rules, whatever the size of the corpus)
-estimates how often each rule is right; a text's posterior probability of being good then follows
-from a sum of log odds over its votes. A rule that abstains says nothing.
+Each rule votes on its own measure for good (1) or for bad (-1), or abstains (0). A rule's votes for
+good and for bad are two voters: passing a rule says little, failing it much. Expectation-maximisation
+over the counts of the vote patterns (at most 3 to the number of rules, whatever the size of the corpus)
+estimates how often each voter is right; a text's posterior probability of being good then follows
+from a sum of log odds over its votes. A rule that abstains says nothing, and one whose bad votes fall
+on texts that fail elsewhere no more often than on others comes to say little: such a vote alone is outvoted.
 
 Cases: a null or empty text has no words and fails the base rules; repeated rows get a row each;
 an empty table gives no rows; extra columns are ignored; long texts are handled whole.
@@ -25,7 +27,8 @@ def words(c: dict[str, Column]) -> Column:
     return F.greatest(c["n_words"], F.lit(1))
 
 
-#: name: (measure, good up to, bad from). A measure from "bad from" on votes bad, otherwise the rule abstains.
+#: name: (measure, good up to, bad from). A measure up to "good up to" votes good, one from "bad from" on votes
+#: bad, otherwise the rule abstains.
 RULES = {
     "symbols": (lambda c: c["n_symbols"] / words(c), 0.05, 0.25),
     "lines": (lambda c: c["n_dup_lines"] / F.greatest(c["n_lines"], F.lit(1)), 0.10, 0.40),
@@ -35,9 +38,11 @@ RULES = {
     "capitals": (lambda c: c["n_capitals"] / F.greatest(c["word_chars"], F.lit(1)), 0.15, 0.40),
     "bangs": (lambda c: c["n_bangs"] / words(c), 0.05, 0.30),
 }
-#: Votes for good where every measure is within its "good up to", abstains otherwise.
-PLAIN = "plain"
-VOTERS = (*RULES, PLAIN)
+#: How often votes for bad and for good are taken to be right before any text is seen (six votes for good don't
+#: outweigh one for bad), and what that is worth, as a share of the texts: votes that never meet another rule's
+#: have nothing else to be judged by.
+BAD_RIGHT, GOOD_RIGHT = 0.9, 0.57
+PRIOR = 0.2
 #: Texts of fewer words give the rules too little to vote on.
 LEAST_WORDS = 20
 KEEP_AT = 0.5
@@ -91,32 +96,39 @@ def measures(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFr
 def voted(counts: DataFrame) -> DataFrame:
     """counts with vote_<rule> of each rule."""
     enough = F.col("n_words") >= LEAST_WORDS
-    c, plain = {name: F.col(name) for name in counts.columns}, enough
-    votes = {}
-    for name, (measure, good, bad) in RULES.items():
-        votes[f"vote_{name}"] = F.when(enough & (measure(c) >= bad), F.lit(-1)).otherwise(F.lit(0))
-        plain = plain & (measure(c) <= good)
-    return counts.withColumns(votes | {f"vote_{PLAIN}": F.when(plain, F.lit(1)).otherwise(F.lit(0))})
+    c = {name: F.col(name) for name in counts.columns}
+    return counts.withColumns({f"vote_{name}": F.when(enough & (measure(c) >= bad), F.lit(-1)).when(enough & (measure(c) <= good), F.lit(1)).otherwise(F.lit(0)) for name, (measure, good, bad) in RULES.items()})
 
 
-def fit(patterns: list[tuple[tuple[int, ...], int]], rounds: int = 100, share: float = SHARE, start: float = 0.8) -> list[float]:
-    """How often each rule is right when it votes, by expectation-maximisation.
+def voters(votes: tuple[int, ...]) -> tuple[int, ...]:
+    """The votes of the rules as those of twice as many voters: for bad only, then for good only."""
+    return tuple(min(v, 0) for v in votes) + tuple(max(v, 0) for v in votes)
 
-    ``share`` of good texts is given, not estimated: most rules only ever vote bad, so votes alone
-    cannot tell a rare class from wrong rules. Accuracies stay above one half, which fixes which of
-    the two classes is the good one; two pseudo-votes of ``start`` keep rare rules from certainty.
+
+def fit(patterns: list[tuple[tuple[int, ...], int]], rounds: int = 200, share: float = SHARE, start: float | list[float] = 0.8, prior: float = 2.0) -> list[float]:
+    """How often each voter is right when it votes, by expectation-maximisation.
+
+    ``share`` of good texts is given, not estimated: votes alone cannot tell a rare class from wrong
+    rules. Good and bad texts count as if they were in that proportion, so that a vote that most texts
+    get is not taken for a right one. Accuracies are one half at least, where a vote has no weight, which
+    fixes which of the two classes is the good one; ``prior`` pseudo-votes of ``start`` keep rare voters
+    from certainty.
     """
     m = len(patterns[0][0]) if patterns else 0
-    right = [start] * m
+    right = first = list(start) if isinstance(start, list) else [start] * m
+    total = sum(n for _, n in patterns)
     for _ in range(rounds):
-        hit, all_ = [2 * start] * m, [2.0] * m
-        for votes, n in patterns:
-            p = posterior(votes, share, right)
+        good = [posterior(votes, share, right) for votes, _ in patterns]
+        n_good = sum(n * p for (_, n), p in zip(patterns, good, strict=True))
+        as_good, as_bad = share * total / max(n_good, 1), (1 - share) * total / max(total - n_good, 1)
+        hit, all_ = [prior * a for a in first], [float(prior)] * m
+        for (votes, n), p in zip(patterns, good, strict=True):
+            g, b = n * p * as_good, n * (1 - p) * as_bad
             for j, v in enumerate(votes):
                 if v:
-                    all_[j] += n
-                    hit[j] += n * (p if v > 0 else 1 - p)
-        new = [min(max(a / b, 0.55), 0.995) for a, b in zip(hit, all_, strict=True)]
+                    all_[j] += g + b
+                    hit[j] += g if v > 0 else b
+        new = [min(max(a / b, 0.5), 0.995) for a, b in zip(hit, all_, strict=True)]
         moved = max(abs(x - y) for x, y in zip(new, right, strict=True)) if m else 0
         right = new
         if moved < 1e-10:
@@ -136,15 +148,15 @@ def posterior(votes: tuple[int, ...], share: float, right: list[float]) -> float
 
 def judge(docs: DataFrame, key: str = "doc_id", text: str = "text", keep_at: float = KEEP_AT, share: float = SHARE) -> DataFrame:
     """key, the counts, base_failed, quality (posterior of good) and kept, of every row of docs."""
-    votes = [f"vote_{r}" for r in VOTERS]
+    votes = [f"vote_{r}" for r in RULES]
     counts = durable(voted(measures(docs, key, text)))
-    # At most 2 to the number of voters patterns reach the driver.
-    seen = counts.groupBy(*votes).count().collect()
-    right = fit(sorted((tuple(r[v] for v in votes), r["count"]) for r in seen), share=share)
-    x, moves = odds(share, right or [0.8] * len(votes))
+    # At most 3 to the number of rules patterns reach the driver.
+    seen = sorted((voters(tuple(r[v] for v in votes)), r["count"]) for r in counts.groupBy(*votes).count().collect())
+    start = [BAD_RIGHT] * len(votes) + [GOOD_RIGHT] * len(votes)
+    x, moves = odds(share, fit(seen, share=share, start=start, prior=PRIOR * sum(n for _, n in seen)) if seen else start)
     total = F.lit(x)
-    for v, w in zip(votes, moves, strict=True):
-        total = total + F.col(v) * F.lit(w)
+    for v, bad, good in zip(votes, moves, moves[len(votes) :], strict=False):
+        total = total + F.when(F.col(v) < 0, F.lit(-bad)).when(F.col(v) > 0, F.lit(good)).otherwise(F.lit(0.0))
     failed = (F.col("n_words") < 20) | (100 * F.col("n_repeat_words") > 30 * F.col("n_words"))
     out = counts.withColumn("quality", 1 / (1 + F.exp(-total))).withColumn("base_failed", failed)
     return out.withColumn("kept", ~F.col("base_failed") & (F.col("quality") >= keep_at)).select(key, "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", F.round("quality", 6).alias("quality"))

@@ -121,5 +121,21 @@ def test_junk_goes_and_prose_stays(docs):
     assert all(got[i] for i in range(40)) and not any(got[i] for i in range(40, 52))
 
 
+def test_a_weak_bad_vote_is_outvoted(docs):
+    # Every fourth text, good or junk, has long words; junk fails two other rules at once.
+    rng = np.random.default_rng(5)
+    texts = []
+    for i in range(120):
+        w = [x + "abcdefghij" * (i % 4 == 0) for x in prose(rng, 120)]
+        texts.append(" ".join(x.upper() + "!!***" for x in w) if i % 5 == 0 else " ".join(w))
+    df = docs(texts)
+    votes = {r.doc_id: r for r in quality_rules.voted(quality_rules.measures(df)).collect()}
+    got = {r.doc_id: r for r in quality_rules.judge(df).collect()}
+    for i in range(120):
+        v = [votes[i][f"vote_{r}"] for r in quality_rules.RULES]
+        assert (votes[i].vote_length < 0) == (i % 4 == 0) and max(v) == 1 and (min(v) < 0) == (i % 4 == 0 or i % 5 == 0)
+        assert got[i].kept == (i % 5 != 0), (i, v, got[i].quality)
+
+
 def test_empty_table(docs):
     assert quality_rules.judge(docs([])).count() == 0
