@@ -1,4 +1,6 @@
-"""Quality classifier: a factorisation machine over hashed words, structure statistics and metadata.
+"""Quality classifier: a factorisation machine over hashed words and structure statistics of the text.
+
+No metadata is used, though the method has it among its features: lang, source and doc_id must not be inputs.
 
 A score is a bias, a weight for each feature and the inner products of the features' low-rank
 vectors over all pairs, taken in time linear in the features as half the difference between the
