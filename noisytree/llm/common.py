@@ -83,42 +83,43 @@ def checkpoint_dir(spark: SparkSession) -> str:
     return sc.getCheckpointDir()
 
 
-def release_shuffles(spark: SparkSession) -> None:
-    """Frees shuffle files that no frame can read any more.
+_RELEASED = [0.0]
+
+
+def release_shuffles(spark: SparkSession, every: float = 10.0) -> None:
+    """Frees shuffle files that no frame can read any more, if that was not done in the last seconds.
 
     Spark's cleaner removes them when the driver's JVM finds their handles unreachable, which a driver with
     little to do may not notice for hours while executors' disks fill up. The last query's plan is let go of
-    only after a first collection.
+    only after a first collection. Steps of less time than ``every`` leave too little behind to be worth it.
     """
     import time
 
+    if time.monotonic() - _RELEASED[0] < every:
+        return
     spark.sparkContext._jvm.System.gc()
     time.sleep(0.2)
     spark.sparkContext._jvm.System.gc()
-
-
-def durable(df: DataFrame) -> DataFrame:
-    """df, written once to the shared folder: lineage ends there and lost executors cost nothing."""
-    spark = df.sparkSession
-    checkpoint_dir(spark)
-    done = df.checkpoint()
-    del df  # the plan that ran would keep its shuffles
-    release_shuffles(spark)
-    return done
+    _RELEASED[0] = time.monotonic()
 
 
 def written(df: DataFrame) -> DataFrame:
-    """Like durable(), as compressed Parquet, for frames too large for checkpoint()'s plain rows."""
+    """df, written once to the shared folder as Parquet and read from there: lineage ends there, lost executors cost
+    nothing, and the planner knows the table's true size. (A checkpoint() would keep the estimate of the plan that
+    it cuts, and joins of such frames multiply these step after step.)"""
     import uuid
 
     spark, schema = df.sparkSession, df.schema
     path = f"{checkpoint_dir(spark)}/noisytree-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    del df
+    del df  # the plan that ran would keep its shuffles
     release_shuffles(spark)
     return spark.read.schema(schema).parquet(path)
 
 
+durable = written
+
+
 def dropped(df: DataFrame) -> None:
     """Deletes the files of a frame that written() made and no later step reads."""
     sc = df.sparkSession.sparkContext

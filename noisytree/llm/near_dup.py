@@ -4,23 +4,30 @@ Jaccard similarity of 0.8 or more, their classes (connected components) and each
 Texts with one set are one item (a class of copies), so copies are never paired. Items are embedded
 as minimal hashes of their sets, each a token (position, value). A run samples positions by a hash of
 the node that an item stands in, and items that share a sampled token go to one child node: similar
-items stay together, others part. A node with few items is brute-forced; a larger one is split
-again, and one that does not shrink within ``DEPTH`` levels is joined with itself in tiles. Nodes
-whose items all belong to one class already teach nothing and are dropped: each node first links
-its items to its first one, and only links between classes are searched for further. Runs are
-repeated until a pair at the threshold meets with probability ``RECALL``. Every link is verified on the whole
-texts' sets. The links within a class are then counted exactly, all pairs of it, in tiles of matrix
-products that return counts, never pairs.
+items stay together, others part. Runs are repeated until a pair at the threshold meets with
+probability ``RECALL``. In a node, items are first held against leaders (the least item not yet led), so
+that each names one likely link; these are verified and settle most classes. Only links between
+classes can still matter: in a node of several classes, the items outside its commonest class are held
+against all others. A node where both are many is split again, and one that does not shrink within
+``DEPTH`` levels is dealt to tiles. Minimal hashes alone are compared in nodes; texts are fetched for
+the pairs that these leave, and every link is verified on the whole texts' sets.
+
+Links within a class are counted exactly. A small class is one tile. In a larger one, each item's distance
+(one less the similarity, a metric) from a pivot says of most pairs that they are linked or not: such pairs
+are counted by their steps of distance, and only pairs of blocks that the distances leave open are compared, in
+tiles of bounded bytes that return counts, never pairs.
 
 Cases: a null text, or one without a word, has no shingles and no links and is a class of its own; a
 text of 1 to 4 words is one shingle of all of them; rows that repeat an id and a text count as
 copies; rows that repeat an id with other texts are taken apart by their text and returned a row
-each; a missing id counts as the least of all; an empty table gives no rows; extra columns are ignored.
+each; a missing id counts as the least of all; an empty table gives no rows; extra columns are ignored, and
+deduplicated() returns them as they are, whatever their names.
 """
 
 from __future__ import annotations
 
 import hashlib
+import itertools
 import math
 from functools import reduce
 
@@ -36,9 +43,15 @@ RECALL = 0.9999
 POSITIONS = 128
 #: Expected children of a node: 1 / SPLIT, so that pairs at the threshold keep 1 of them at least.
 SPLIT = 0.75
-SMALL = 24
+#: A node of at most so many items, or of so many outside its commonest class, is not split further.
+SMALL = 512
+FEW = 32
 DEPTH = 4
-TILE = 512
+#: Items of a tile of minimal hashes; items and shingles of a block of texts.
+TILE = 1024
+BLOCK, BLOCK_SHINGLES = 256, 400_000
+#: A class of at most so many items and shingles is one tile.
+SMALL_CLASS = 64
 #: Share of 8-bit minimal hashes that a pair must have in common to be verified: 5 deviations below
 #: the expectation at the threshold.
 SKETCH_LEAST = 0.8 - 5 * math.sqrt(0.8 * 0.2 / POSITIONS)
@@ -57,18 +70,21 @@ def runs_for(recall: float = RECALL, depth: int = DEPTH) -> int:
     return math.ceil(math.log(1 - recall) / math.log(1 - meets(depth)))
 
 
+_SEEDS = (mix(np.arange(POSITIONS, dtype=np.uint64), 11) >> U(32)).astype(np.uint32) | np.uint32(1)
+
+
 def sketch(s: np.ndarray) -> np.ndarray:
-    """The least hash of the set under each of POSITIONS functions."""
-    out = np.empty(POSITIONS, np.uint64)
-    step = max(1, 200_000 // max(1, len(s)))
-    seeds = mix(np.arange(POSITIONS, dtype=np.uint64), 11) | U(1)
+    """The least 32-bit hash of the set under each of POSITIONS functions, mixed."""
+    x = (s >> U(32)).astype(np.uint32)
+    out = np.empty(POSITIONS, np.uint32)
+    step = max(1, 64_000 // max(1, len(x)))  # products that stay in the processor's cache
     with np.errstate(over="ignore"):
         for a in range(0, POSITIONS, step):
-            m = s[None, :] * seeds[a : a + step, None]
-            m ^= m >> U(32)
-            m *= U(0xD6E8FEB86659FD93)
+            m = x[None, :] * _SEEDS[a : a + step, None]
+            m ^= m >> np.uint32(15)
+            m *= np.uint32(0x846CA68B)
             out[a : a + step] = m.min(1)
-    return mix(out, 12)
+    return (mix(out.astype(np.uint64), 12) >> U(32)).astype(np.uint32)
 
 
 def sketch_batches(batches):
@@ -80,7 +96,7 @@ def sketch_batches(batches):
             s = shingle_set(t)
             size.append(len(s))
             keys.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None)
-            sigs.append((sketch(s) >> U(32)).astype(np.uint32).tobytes() if len(s) else None)
+            sigs.append(sketch(s).tobytes() if len(s) else None)
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_key"), pa.array(keys, pa.binary()), pa.array(size, pa.int32()), pa.array(sigs, pa.binary())], ["doc_id", "text_key", "set_key", "size", "sig"])
 
 
@@ -152,23 +168,110 @@ def streamed(batches, keys: list[str]):
         yield last, pa.Table.from_batches(held)
 
 
-def verify_batches(batches, threshold: float):
-    """Groups of one left text (``left`` true) and the texts to hold against it."""
+def whole_groups(batches, keys: list[str], most: int = 40_000):
+    """Tables of about ``most`` rows that hold whole groups of rows with equal keys, and where each row's
+    group begins and ends. The rows come sorted by the keys; what forms groups bounds their size."""
+    import pyarrow as pa
+
+    held: list = []
+    n = 0
+    for batch in itertools.chain(batches, [None]):
+        if batch is not None:
+            held.append(batch)
+            n += batch.num_rows
+            if n < most:
+                continue
+        if not n:
+            continue
+        rows = pa.Table.from_batches(held).combine_chunks()
+        cols = [rows[k].to_numpy() for k in keys]
+        change = np.flatnonzero(np.any([c[1:] != c[:-1] for c in cols], axis=0)) + 1
+        end = n if batch is None else (int(change[-1]) if len(change) else 0)
+        if end:
+            edges = np.concatenate([[0], change[change < end], [end]])
+            size = np.diff(edges)
+            yield rows.slice(0, end), np.repeat(edges[:-1], size), np.repeat(edges[1:], size)
+        held, n = rows.slice(end).to_batches(), n - end
+
+
+def lows_of(rows) -> np.ndarray:
+    return np.frombuffer(b"".join(rows["low"].to_pylist()), np.uint8).reshape(-1, POSITIONS)
+
+
+def alike(low: np.ndarray, size: np.ndarray, x: np.ndarray, y: np.ndarray, least: float, threshold: float) -> np.ndarray:
+    """Which of the pairs of rows x and y may reach the threshold by their sizes and have ``least`` of their hashes in common."""
+    ok = np.minimum(size[x], size[y]) >= threshold * np.maximum(size[x], size[y])
+    at = np.flatnonzero(ok)
+    for a in range(0, len(at), 100_000):
+        part = at[a : a + 100_000]
+        ok[part] = (low[x[part]] == low[y[part]]).mean(1) >= least
+    return ok
+
+
+def pairs_batch(a: list, b: list):
+    import pyarrow as pa
+
+    return pa.RecordBatch.from_arrays([pa.array(np.concatenate(x), pa.int64()) for x in (a, b)], ["a", "b"])
+
+
+def leader_batches(batches, threshold: float):
+    """Groups (node, part) of items: each item with the first leader that it looks linked to. An item that no
+    leader before it has is a leader. All groups of a table take a step at a time."""
+    for rows, start, _ in whole_groups(batches, ["node", "part"]):
+        item, size, low = rows["item"].to_numpy(), rows["size"].to_numpy(), lows_of(rows)
+        order = np.lexsort((item, start))
+        a, b = [], []
+        while len(order) > 1:
+            group = start[order]
+            new = np.concatenate([[True], group[1:] != group[:-1]])
+            lead = order[np.flatnonzero(new)[np.cumsum(new) - 1]]
+            led = alike(low, size, lead, order, threshold, threshold) & ~new
+            if led.any():
+                a.append(item[lead[led]])
+                b.append(item[order[led]])
+            order = order[~led & ~new]
+        if a:
+            yield pairs_batch(a, b)
+
+
+def cross_batches(batches, threshold: float):
+    """Tiles (node, i, j): the pairs of a ``left`` and a ``right`` item of different classes that may be linked."""
+    for rows, start, end in whole_groups(batches, ["node", "i", "j"]):
+        item, size, comp, low = rows["item"].to_numpy(), rows["size"].to_numpy(), rows["comp"].to_numpy(), lows_of(rows)
+        left, right = (rows[c].to_numpy() for c in ("left", "right"))
+        xs = np.flatnonzero(left)
+        many = np.cumsum(end[xs] - start[xs])
+        a, b = [], []
+        for part in np.split(xs, np.flatnonzero(np.diff(many // 500_000)) + 1):
+            n = end[part] - start[part]
+            x = np.repeat(part, n)
+            y = np.arange(len(x)) - np.repeat(np.cumsum(n) - n, n) + np.repeat(start[part], n)
+            ok = right[y] & (comp[x] != comp[y]) & (item[x] != item[y])
+            x, y = x[ok], y[ok]
+            ok = alike(low, size, x, y, SKETCH_LEAST, threshold)
+            if ok.any():
+                a.append(np.minimum(item[x[ok]], item[y[ok]]))
+                b.append(np.maximum(item[x[ok]], item[y[ok]]))
+        if a:
+            yield pairs_batch(a, b)
+
+
+def compare_batches(batches):
+    """Groups of one left text (``left`` true) and the texts to hold against it: how many shingles each pair has in
+    common and in all."""
     import pyarrow as pa
 
     for (item, _), rows in streamed(batches, ["a", "part"]):
         left = rows["left"].to_numpy(zero_copy_only=False)
         texts, ids = rows["text"], rows["item"].to_numpy()
         base = shingle_set(texts[int(np.flatnonzero(left)[0])].as_py())
-        found = []
-        for i in np.flatnonzero(~left):
+        others = np.flatnonzero(~left)
+        both, either = [], []
+        for i in others:
             s = shingle_set(texts[int(i)].as_py())
-            if min(len(s), len(base)) >= threshold * max(len(s), len(base)):
-                both = len(np.intersect1d(base, s, assume_unique=True))
-                if both >= threshold * (len(s) + len(base) - both):
-                    found.append(ids[i])
-        if found:
-            yield pa.RecordBatch.from_arrays([pa.array([item] * len(found), pa.int64()), pa.array(found, pa.int64())], ["a", "b"])
+            both.append(len(np.intersect1d(base, s, assume_unique=True)))
+            either.append(len(s) + len(base) - both[-1])
+        yield pa.RecordBatch.from_arrays([pa.array([item] * len(others), pa.int64()), pa.array(ids[others], pa.int64()), pa.array(both, pa.int32()), pa.array(either, pa.int32())], ["a", "b", "both", "either"])
 
 
 def similar(sets_a: list[np.ndarray], sets_b: list[np.ndarray], threshold: float) -> np.ndarray:
@@ -195,83 +298,32 @@ def similar(sets_a: list[np.ndarray], sets_b: list[np.ndarray], threshold: float
     return (both >= threshold * union) & (union > 0)
 
 
-def tile_batches(batches, threshold: float, links: bool):
-    """Tiles (group, i, j): rows of blocks i and j of a group. With ``links``: what each item has in
-    the tile, n_items and n_docs; else a spanning set of links (each item's first few classes)."""
+def count_batches(batches, threshold: float):
+    """Tiles (group, i, j) of blocks i and j of a class: how many items and documents each item is linked with there."""
     import pyarrow as pa
 
     for (_, i, j), rows in streamed(batches, ["group", "i", "j"]):
         block, ids, n = rows["block"].to_numpy(), rows["item"].to_numpy(), rows["copies"].to_numpy()
-        sets = [shingle_set(t) for t in rows["text"].to_pylist()]
         left, right = np.flatnonzero(block == i), np.flatnonzero(block == j)
+        sets = [shingle_set(t.as_py()) for t in rows["text"]]
         hit = similar([sets[k] for k in left], [sets[k] for k in right], threshold)
         if i == j:
             np.fill_diagonal(hit, False)
-        if links:
-            out_ids = [ids[left]] if i == j else [ids[left], ids[right]]
-            items = [hit.sum(1)] if i == j else [hit.sum(1), hit.sum(0)]
-            docs = [hit @ n[right]] if i == j else [hit @ n[right], n[left] @ hit]
-            cols = [pa.array(np.concatenate(x).astype(np.int64)) for x in (out_ids, items, docs)]
-            yield pa.RecordBatch.from_arrays(cols, ["item", "n_items", "n_docs"])
-            continue
-        # A forest of the tile's links: their classes are all that is asked for.
-        top = {int(x): int(x) for x in ids}
-
-        def find(x: int) -> int:
-            while top[x] != x:
-                top[x] = top[top[x]]
-                x = top[x]
-            return x
-
-        found = []
-        for x, y in zip(*np.nonzero(hit), strict=True):
-            p, q = find(int(ids[left[x]])), find(int(ids[right[y]]))
-            if p != q:
-                top[max(p, q)] = min(p, q)
-                found.append((int(ids[left[x]]), int(ids[right[y]])))
-        if found:
-            yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in found], pa.int64()), pa.array([y for _, y in found], pa.int64())], ["a", "b"])
-
-
-def verified(pairs: DataFrame, texts: DataFrame, threshold: float, part_rows: int = 256) -> DataFrame:
-    """Those of the pairs (a, b: items) that reach the threshold. A left item's partners are dealt to
-    parts of about ``part_rows``, each with the left text once, so no item's partners are one task's."""
-    many = pairs.groupBy("a").agg(F.count("*").alias("n")).select("a", F.ceil(F.col("n") / part_rows).cast("int").alias("parts"))
-    dealt = pairs.join(many, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.col("parts")).cast("int").alias("part"))
-    dealt = durable(dealt)  # its two uses below would run the candidate search twice
+        out_ids = [ids[left]] if i == j else [ids[left], ids[right]]
+        items = [hit.sum(1)] if i == j else [hit.sum(1), hit.sum(0)]
+        docs = [hit @ n[right]] if i == j else [hit @ n[right], n[left] @ hit]
+        cols = [pa.array(np.concatenate(x).astype(np.int64)) for x in (out_ids, items, docs)]
+        yield pa.RecordBatch.from_arrays(cols, ["item", "n_items", "n_docs"])
+
+
+def compared(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+    """a, b, both, either of pairs of items (a, b, size: shingles of b). A left item's partners are dealt to parts of
+    a bounded number of shingles, each with the left text once, so no item's partners are one task's."""
+    many = pairs.groupBy("a").agg(F.ceil(F.sum("size") / BLOCK_SHINGLES).cast("int").alias("parts"))
+    dealt = durable(pairs.join(many, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.greatest("parts", F.lit(1))).cast("int").alias("part")))
     rows = dealt.select("a", "part", F.col("b").alias("item"), F.lit(False).alias("left")).unionByName(dealt.select("a", "part").distinct().select("a", "part", F.col("a").alias("item"), F.lit(True).alias("left")))
     rows = rows.join(texts, "item").repartition("a", "part").sortWithinPartitions("a", "part").select("a", "part", "item", "left", "text")
-    return rows.mapInArrow(shipped("noisytree.llm.near_dup", "verify_batches", threshold=threshold), "a long, b long")
-
-
-def tiled(members: DataFrame, texts: DataFrame, threshold: float, links: bool, tile: int = TILE) -> DataFrame:
-    """members: group, item, n (items of the group), copies. The join of each group with itself."""
-    blocks = members.withColumn("blocks", F.ceil(F.col("n") / tile).cast("int"))
-    blocks = blocks.withColumn("block", F.pmod(F.xxhash64("item"), F.col("blocks")).cast("int"))
-    rows = blocks.join(texts, "item")
-    rows = rows.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    rows = rows.select("group", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "item", "copies", "text")
-    rows = rows.repartition("group", "i", "j").sortWithinPartitions("group", "i", "j")
-    schema = "item long, n_items long, n_docs long" if links else "a long, b long"
-    return rows.mapInArrow(shipped("noisytree.llm.near_dup", "tile_batches", threshold=threshold, links=links), schema)
-
-
-def near_sketches(pairs: DataFrame, sigs: DataFrame, threshold: float) -> DataFrame:
-    """Pairs whose sizes and 8-bit minimal hashes leave the threshold possible."""
-    left = sigs.select(F.col("item").alias("a"), F.col("size").alias("size_a"), F.col("low").alias("low_a"))
-    right = sigs.select(F.col("item").alias("b"), F.col("size").alias("size_b"), F.col("low").alias("low_b"))
-    sized = pairs.join(left, "a").join(right, "b").where(F.least("size_a", "size_b") >= threshold * F.greatest("size_a", "size_b"))
-    return sized.mapInArrow(shipped("noisytree.llm.near_dup", "compare_batches"), "a long, b long")
-
-
-def compare_batches(batches):
-    import pyarrow as pa
-
-    for batch in batches:
-        a, b = b"".join(batch.column("low_a").to_pylist()), b"".join(batch.column("low_b").to_pylist())
-        same = (np.frombuffer(a, np.uint8) == np.frombuffer(b, np.uint8)).reshape(-1, POSITIONS).mean(1)
-        kept = batch.filter(pa.array(same >= SKETCH_LEAST))
-        yield pa.RecordBatch.from_arrays([kept.column("a"), kept.column("b")], ["a", "b"])
+    return rows.mapInArrow(shipped("noisytree.llm.near_dup", "compare_batches"), "a long, b long, both int, either int")
 
 
 def low_batches(batches):
@@ -289,13 +341,14 @@ def no_id() -> Column:
 
 
 class Join:
-    """The steps of one join. Texts of all items that share a node with another are gathered once; every
-    later step reads these, so the corpus is shuffled a single time."""
-
-    def __init__(self, docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, recall: float = RECALL, small: int = SMALL, depth: int = DEPTH, tile: int = TILE):
-        self.threshold, self.small, self.depth, self.tile = threshold, small, depth, tile
-        t = docs.select(F.coalesce(F.col(key).cast("long"), no_id()).alias("doc_id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text")).withColumn("text_key", F.xxhash64("text"))
-        sketched = durable(t.mapInArrow(shipped("noisytree.llm.near_dup", "sketch_batches"), "doc_id long, text_key long, set_key binary, size int, sig binary"))
+    """The steps of one join. The corpus is read once for sketches, and again for the texts of items that a pair left
+    by the sketches holds."""
+
+    def __init__(self, docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, recall: float = RECALL, small: int = SMALL, few: int = FEW, depth: int = DEPTH, tile: int = TILE, block: int = BLOCK, small_class: int = SMALL_CLASS):
+        self.threshold, self.small, self.few, self.depth, self.tile, self.block, self.small_class = threshold, small, few, depth, tile, block, small_class
+        t = docs.select(F.coalesce(F.col(key).cast("long"), no_id()).alias("doc_id"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("text"))
+        self.docs = t.withColumn("text_key", F.xxhash64("text"))
+        sketched = durable(self.docs.mapInArrow(shipped("noisytree.llm.near_dup", "sketch_batches"), "doc_id long, text_key long, set_key binary, size int, sig binary"))
         self.rows = sketched.select("doc_id", "text_key", F.xxhash64("set_key").alias("item"), F.col("set_key").isNotNull().alias("some"))
         # An item is named by a hash of its set, and read from the least document that has it.
         some = sketched.where("set_key is not null").groupBy(F.xxhash64("set_key").alias("item"))
@@ -304,39 +357,69 @@ class Join:
         first = self.items.select("item", "sig").mapInArrow(run, "item long, node long")
         nodes = first.groupBy("node").agg(F.count("*").alias("n"), F.min("item").alias("head")).where("n > 1")
         self.level = durable(first.join(nodes, "node"))  # node, item, n, head
-        met = self.level.select("item").distinct().join(self.items.select("item", "k.doc_id", "k.text_key"), "item")
-        self.texts = written(t.join(met, ["doc_id", "text_key"]).select("item", "text").dropDuplicates(["item"]))
         self.lows = self.items.select("item", "size", "sig").mapInArrow(shipped("noisytree.llm.near_dup", "low_batches"), "item long, size int, low binary")
+        repeated = durable(sketched.groupBy("doc_id", "text_key").agg(F.count("*").alias("n")).where("n > 1").select("doc_id", "text_key"))
+        self.repeated = None if repeated.isEmpty() else repeated
+        self.texts = None
+
+    def fetch(self, pairs: DataFrame) -> None:
+        """Adds the texts of the pairs' items to those at hand."""
+        met = pairs.select(F.col("a").alias("item")).unionByName(pairs.select(F.col("b").alias("item"))).distinct()
+        if self.texts is not None:
+            met = met.join(self.texts.select("item"), "item", "left_anti")
+        met = met.join(self.items.select("item", "k.doc_id", "k.text_key"), "item")
+        new = written(once(self.docs.join(met, ["doc_id", "text_key"]), self.repeated).select("item", "text"))
+        self.texts = new if self.texts is None else self.texts.unionByName(new)
+
+    def linked(self, pairs: DataFrame) -> DataFrame:
+        """Those of the pairs (a, b) that reach the threshold."""
+        pairs = durable(pairs.join(self.items.select(F.col("item").alias("b"), "size"), "b"))
+        self.fetch(pairs)
+        return compared(pairs, self.texts).where(F.col("both") >= self.threshold * F.col("either")).select("a", "b")
+
+    def likely(self) -> DataFrame:
+        """Each item with one that it looks linked to, of each of its nodes. A large node is dealt to parts, and the
+        node's least item to all of them."""
+        parts = F.ceil(F.col("n") / self.tile).cast("int")
+        mine = F.array(F.pmod(F.xxhash64("item"), parts).cast("int"))
+        rows = self.level.withColumn("part", F.explode(F.when(F.col("item") == F.col("head"), F.sequence(F.lit(0), parts - 1)).otherwise(mine))).select("node", "part", "item")
+        rows = rows.join(self.lows, "item").repartition("node", "part").sortWithinPartitions("node", "part")
+        return rows.mapInArrow(shipped("noisytree.llm.near_dup", "leader_batches", threshold=self.threshold), "a long, b long").distinct()
+
+    def across(self, nodes: DataFrame) -> DataFrame:
+        """Pairs of different classes that may be linked, of one of them not of the node's commonest class.
+        nodes: node, item, comp, n, m (items outside the commonest class), most (that class)."""
+        blocks = lambda n: F.greatest(F.lit(1), F.ceil(F.col(n) / self.tile).cast("int"))
+        rows = nodes.withColumn("is", blocks("m")).withColumn("js", blocks("n")).withColumn("rare", F.col("comp") != F.col("most"))
+        mine = lambda n: F.pmod(F.xxhash64("item"), F.col(n)).cast("int")
+        place = lambda i, j, left, right: F.struct(i.alias("i"), j.alias("j"), left.alias("left"), right.alias("right"))
+        no, yes = F.lit(False), F.lit(True)
+        as_right = F.transform(F.sequence(F.lit(0), F.col("is") - 1), lambda i: place(i, mine("js"), no, yes))
+        as_left = F.transform(F.sequence(F.lit(0), F.col("js") - 1), lambda j: place(mine("is"), j, yes, no))
+        one = F.array(place(F.lit(0), F.lit(0), F.col("rare"), yes))
+        places = F.when((F.col("is") == 1) & (F.col("js") == 1), one).when(F.col("rare"), F.concat(as_right, as_left)).otherwise(as_right)
+        rows = rows.withColumn("place", F.explode(places)).select("node", "place.*", "item", "comp").join(self.lows, "item")
+        rows = rows.repartition("node", "i", "j").sortWithinPartitions("node", "i", "j")
+        return rows.mapInArrow(shipped("noisytree.llm.near_dup", "cross_batches", threshold=self.threshold), "a long, b long")
 
     def classes(self) -> DataFrame:
         """node, comp of the items that are linked with another (comp: the least item of the class)."""
         level = self.level
-        stars = level.where("item <> head").select(F.col("head").alias("a"), F.col("item").alias("b")).distinct()
-        found = verified(near_sketches(stars, self.lows, self.threshold), self.texts, self.threshold)
-        known_classes = durable(components(found))
-        pairs, tiles = [], None
+        known_classes = durable(components(self.linked(self.likely())))
+        pairs = []
         for depth in range(1, self.depth + 1):
             # Only nodes that hold more than one class can add a link that matters.
             known = level.join(known_classes.withColumnRenamed("node", "item"), "item", "left").select("node", "item", F.coalesce("comp", "item").alias("comp"))
-            mixed = known.groupBy("node").agg(F.count("*").alias("n"), F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("node", "n")
-            known = durable(known.join(mixed, "node"))
-            few = known.where(F.col("n") <= self.small)
-            left = few.select("node", F.col("item").alias("a"), F.col("comp").alias("comp_a"))
-            right = few.select("node", F.col("item").alias("b"), F.col("comp").alias("comp_b"))
-            pairs.append(left.join(right, "node").where("a < b and comp_a <> comp_b").select("a", "b"))
-            many = known.where(F.col("n") > self.small)
+            by_class = known.groupBy("node", "comp").agg(F.count("*").alias("c")).groupBy("node")
+            mixed = by_class.agg(F.sum("c").alias("n"), F.max(F.struct("c", "comp")).alias("top"), F.count("*").alias("k")).where("k > 1")
+            known = durable(known.join(mixed.select("node", "n", (F.col("n") - F.col("top.c")).alias("m"), F.col("top.comp").alias("most")), "node"))
+            ready = F.lit(depth == self.depth) | (F.col("n") <= self.small) | (F.col("m") <= self.few)
+            pairs.append(durable(self.across(known.where(ready)).distinct()))
+            many = known.where(~ready)
             if many.isEmpty():
                 break
-            if depth == self.depth:
-                tiles = many.select(F.col("node").alias("group"), "item", "n", F.lit(1).cast("long").alias("copies"))
-                break
-            below = many.select("node", "item").join(self.items.select("item", "sig"), "item").mapInArrow(shipped("noisytree.llm.near_dup", "child_batches"), "item long, node long")
-            level = durable(below)
-        more = reduce(DataFrame.unionByName, pairs).distinct()
-        links = verified(near_sketches(more, self.lows, self.threshold), self.texts, self.threshold)
-        if tiles is not None:
-            links = links.unionByName(tiled(tiles, self.texts, self.threshold, False, self.tile))
-        links = durable(links)
+            level = durable(many.select("node", "item").join(self.items.select("item", "sig"), "item").mapInArrow(shipped("noisytree.llm.near_dup", "child_batches"), "item long, node long"))
+        links = durable(self.linked(reduce(DataFrame.unionByName, pairs).distinct()))
         if links.isEmpty():
             return known_classes
         # The new links join classes: settle these, then name items by them.
@@ -346,27 +429,67 @@ class Join:
         moved = known_classes.join(joined.select(F.col("node").alias("comp"), F.col("comp").alias("new")), "comp", "left").select("node", F.coalesce("new", "comp").alias("comp"))
         return durable(moved.unionByName(joined.join(known_classes.select("node"), "node", "left_anti")))
 
-    def result(self, count: bool = True) -> DataFrame:
-        """doc_id, class_id (least doc_id of the class), copies, n_links and n_text_links: the other rows
-        within the threshold, and the other sets among them. Without count: doc_id, text_key, comp, where comp
-        tells classes apart even if ids repeat."""
-        items = self.items.select("item", "k.doc_id", "copies").join(self.classes().withColumnRenamed("node", "item"), "item", "left").withColumn("comp", F.coalesce("comp", "item"))
-        sized = items.groupBy("comp").agg(F.min("doc_id").alias("class_id"), F.count("*").alias("n"))
-        items = items.select("item", "comp", "copies").join(sized, "comp")
-        if count:
-            items = durable(items)
-            several = items.where("n > 1").select(F.col("comp").alias("group"), "item", "n", "copies")
-            got = tiled(several, self.texts, self.threshold, True, self.tile).groupBy("item").agg(F.sum("n_items").alias("n_items"), F.sum("n_docs").alias("n_docs"))
-            items = items.join(got, "item", "left").na.fill(0, ["n_items", "n_docs"])
-        else:
-            items = items.withColumn("n_items", F.lit(0)).withColumn("n_docs", F.lit(0))
-        slim = items.select("item", "comp", "class_id", "copies", "n_items", "n_docs", F.lit(True).alias("some"))
-        out = self.rows.join(slim, ["item", "some"], "left")
-        if not count:
-            return out.select("doc_id", "text_key", F.coalesce("comp", F.xxhash64("doc_id", "text_key")).alias("comp"))
+    def counts(self, items: DataFrame) -> DataFrame:
+        """item, n_items, n_docs: the links of each item of classes of several. items: item, comp, copies, size, n,
+        total (items and shingles of the class)."""
+        small = (F.col("n") <= self.small_class) & (F.col("total") <= BLOCK_SHINGLES)
+        zero = F.lit(0)
+        tiles = items.where(small).select(F.col("comp").alias("group"), zero.alias("i"), zero.alias("j"), zero.alias("block"), "item", "copies")
+        large = durable(items.where(~small))
+        sure = None
+        if not large.isEmpty():
+            # The pivot: the item that the class is best seen from, the one of median size.
+            middle = large.groupBy("comp").agg(F.percentile_approx("size", 0.5, 100).alias("size"))
+            pivots = large.join(middle, ["comp", "size"]).groupBy("comp").agg(F.min("item").alias("a"))
+            pairs = large.join(pivots, "comp").where("item <> a").select("a", F.col("item").alias("b"), "size")
+            # Steps of a quarter of the greatest distance that is a link.
+            step = F.floor((1 - F.col("both") / F.col("either")) / ((1 - self.threshold) / 4)).cast("int")
+            far = compared(pairs, self.texts).select(F.col("b").alias("item"), step.alias("step"))
+            stepped = durable(large.join(far, "item", "left").withColumn("step", F.coalesce("step", zero)))
+            by_step = stepped.groupBy("comp", "step").agg(F.count("*").alias("c"), F.sum("copies").alias("d"), F.greatest(F.ceil(F.count("*") / self.block), F.ceil(F.sum("size") / BLOCK_SHINGLES)).cast("int").alias("blocks"))
+            seen = stepped.join(by_step.groupBy("comp").agg(F.collect_list(F.struct("step", "c", "d", "blocks")).alias("steps")), "comp")  # a step is a whole number from 0 to 20
+            # Two distances of less than the greatest linked one in sum: linked. Further apart than it: not.
+            near = F.filter("steps", lambda s: s["step"] + F.col("step") <= 2)
+            total = lambda f: F.aggregate(near, F.lit(0).cast("long"), lambda acc, s: acc + s[f])
+            own = F.col("step") <= 1
+            sure = seen.select("item", (total("c") - F.when(own, 1).otherwise(0)).alias("n_items"), (total("d") - F.when(own, F.col("copies")).otherwise(0)).alias("n_docs"))
+            wide = 1 << 24  # blocks of a step
+            open_ = F.filter("steps", lambda s: (s["step"] + F.col("step") > 2) & (F.abs(s["step"] - F.col("step")) < 5))
+            others = F.flatten(F.transform(open_, lambda s: F.transform(F.sequence(zero, s["blocks"] - 1), lambda k: s["step"] * wide + k)))
+            blocks = F.filter("steps", lambda s: s["step"] == F.col("step"))[0]["blocks"]
+            seen = seen.withColumn("block", F.col("step") * wide + F.pmod(F.xxhash64("item"), blocks).cast("int")).withColumn("other", F.explode(others))
+            tiles = tiles.unionByName(seen.select(F.col("comp").alias("group"), F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "item", "copies"))
+        tiles = tiles.join(self.texts, "item").repartition("group", "i", "j").sortWithinPartitions("group", "i", "j").select("group", "i", "j", "block", "item", "copies", "text")
+        got = tiles.mapInArrow(shipped("noisytree.llm.near_dup", "count_batches", threshold=self.threshold), "item long, n_items long, n_docs long")
+        return (got.unionByName(sure) if sure is not None else got).groupBy("item").agg(F.sum("n_items").alias("n_items"), F.sum("n_docs").alias("n_docs"))
+
+    def classed(self) -> DataFrame:
+        """item, doc_id (its least), copies, size, comp, class_id, n, total (items and shingles of its class)."""
+        items = self.items.select("item", "k.doc_id", "copies", "size").join(self.classes().withColumnRenamed("node", "item"), "item", "left").withColumn("comp", F.coalesce("comp", "item"))
+        return items.join(items.groupBy("comp").agg(F.min("doc_id").alias("class_id"), F.count("*").alias("n"), F.sum("size").alias("total")), "comp")
+
+    def result(self) -> DataFrame:
+        """doc_id, text_key, class_id (least doc_id of the class), copies, n_links and n_text_links: the other rows
+        within the threshold, and the other sets among them."""
+        items = durable(self.classed())
+        items = items.join(self.counts(items.where("n > 1")), "item", "left").select("item", "class_id", "copies", "n_items", "n_docs", F.lit(True).alias("some"))
+        out = self.rows.join(items, ["item", "some"], "left")
         known = lambda c: F.when(c != no_id(), c)
-        out = out.select(known(F.col("doc_id")).alias("doc_id"), "text_key", known(F.coalesce("class_id", "doc_id")).alias("class_id"), F.coalesce("copies", F.lit(1)).cast("long").alias("copies"), (F.coalesce("n_docs", F.lit(0)) + F.coalesce(F.col("copies") - 1, F.lit(0))).cast("long").alias("n_links"), F.coalesce("n_items", F.lit(0)).cast("long").alias("n_text_links"))
-        return out
+        return out.select(known(F.col("doc_id")).alias("doc_id"), "text_key", known(F.coalesce("class_id", "doc_id")).alias("class_id"), F.coalesce("copies", F.lit(1)).cast("long").alias("copies"), (F.coalesce("n_docs", F.lit(0)) + F.coalesce(F.col("copies") - 1, F.lit(0))).cast("long").alias("n_links"), F.coalesce("n_items", F.lit(0)).cast("long").alias("n_text_links"))
+
+    def firsts(self) -> DataFrame:
+        """doc_id, text_key of the first row of each class, by id, then by a hash of the text."""
+        comps = self.classed().select("item", "comp", F.lit(True).alias("some"))
+        named = self.rows.join(comps, ["item", "some"], "left").select("doc_id", "text_key", F.coalesce("comp", F.xxhash64("doc_id", "text_key")).alias("comp"))
+        return named.groupBy("comp").agg(F.min(F.struct("doc_id", "text_key")).alias("k")).select("k.*")
+
+
+def once(rows: DataFrame, repeated: DataFrame | None) -> DataFrame:
+    """One of the rows alike in doc_id and text_key; only those that are ``repeated`` are gathered."""
+    if repeated is None:
+        return rows
+    keys = ["doc_id", "text_key"]
+    return rows.join(repeated, keys, "left_anti").unionByName(rows.join(repeated, keys, "left_semi").dropDuplicates(keys))
 
 
 def join(docs: DataFrame, **options) -> DataFrame:
@@ -376,7 +499,8 @@ def join(docs: DataFrame, **options) -> DataFrame:
 
 def deduplicated(docs: DataFrame, key: str = "doc_id", text: str = "text", **options) -> DataFrame:
     """docs without the rows that are not their class's first (by key, then by a hash of the text)."""
-    found = Join(docs, key, text, **options).result(count=False).distinct()
-    first = found.groupBy("comp").agg(F.min(F.struct("doc_id", "text_key")).alias("k")).select(F.col("k.doc_id").alias("_doc"), F.col("k.text_key").alias("_text"))
-    rows = docs.withColumn("_doc", F.coalesce(F.col(key).cast("long"), no_id())).withColumn("_text", F.xxhash64(F.coalesce(F.col(text).cast("string"), F.lit(""))))
-    return rows.join(first, ["_doc", "_text"], "left_semi").dropDuplicates(["_doc", "_text"]).select(*docs.columns)
+    found = Join(docs, key, text, **options)
+    first = durable(found.firsts())
+    # The columns of docs travel in one struct, so that none can clash with the keys.
+    rows = docs.select(F.coalesce(F.col(key).cast("long"), no_id()).alias("doc_id"), F.xxhash64(F.coalesce(F.col(text).cast("string"), F.lit(""))).alias("text_key"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    return once(rows.join(first, ["doc_id", "text_key"], "left_semi"), found.repeated).select("row.*")
