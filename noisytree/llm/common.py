@@ -4,12 +4,13 @@ Arrow functions to the executors, durable cuts of the lineage, connected compone
 
 from __future__ import annotations
 
-import tempfile
 from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from noisytree.operators.durable import shared_folder
+
 ROOT = str(Path(__file__).resolve().parents[2])
 #: White space that separates words: space, tab, line feed, vertical tab, form feed, carriage return.
 WS = r"[\x20\x09-\x0D]+"
@@ -73,14 +74,8 @@ def parts(batches, column: str = "text"):
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
-    """The shared folder that the cluster names; a folder of our own only where none is set."""
-    sc = spark.sparkContext
-    found = sc.getCheckpointDir() or sc.getConf().get("spark.checkpoint.dir", None)
-    if not found:
-        found = tempfile.mkdtemp(prefix="noisytree-checkpoint-")
-    if not sc.getCheckpointDir():
-        sc.setCheckpointDir(found)
-    return sc.getCheckpointDir()
+    """The shared folder that the cluster names; a folder of our own only for a session within one machine."""
+    return shared_folder(spark)
 
 
 _RELEASED = [0.0]

@@ -8,8 +8,8 @@ items stay together, others part. Runs are repeated until a pair at the threshol
 probability ``RECALL``. In a node, items are first held against leaders (the least item not yet led), so
 that each names one likely link; these are verified and settle most classes. Only links between
 classes can still matter: in a node of several classes, the items outside its commonest class are held
-against all others. A node where both are many is split again, and one that does not shrink within
-``DEPTH`` levels is dealt to tiles. Minimal hashes alone are compared in nodes; texts are fetched for
+against all others. A node where both are many is split again; those that do not part within
+``DEPTH`` levels and have one least item are taken as one node, which is dealt to tiles. Minimal hashes alone are compared in nodes; texts are fetched for
 the pairs that these leave, and every link is verified on the whole texts' sets.
 
 Links within a class are counted exactly. A small class is one tile. In a larger one, each item's distance
@@ -46,9 +46,12 @@ SPLIT = 0.75
 #: A node of at most so many items, or of so many outside its commonest class, is not split further.
 SMALL = 512
 FEW = 32
-DEPTH = 4
-#: Items of a tile of minimal hashes; items and shingles of a block of texts.
-TILE = 1024
+DEPTH = 3
+#: From so many items on, the first leaders of a node, so many at most, are those in the middle.
+CROWD, CROWDS = 8, 16
+#: Items of a side of a tile of sketches; pairs left by them for each item, beyond which a node is compared as a whole.
+TILE, DENSE = 2048, 4
+#: Items and shingles of a block of texts.
 BLOCK, BLOCK_SHINGLES = 256, 400_000
 #: A class of at most so many items and shingles is one tile.
 SMALL_CLASS = 64
@@ -214,13 +217,34 @@ def pairs_batch(a: list, b: list):
     return pa.RecordBatch.from_arrays([pa.array(np.concatenate(x), pa.int64()) for x in (a, b)], ["a", "b"])
 
 
+def medoid(low: np.ndarray) -> int:
+    """The row with most of the hashes that are the commonest at their positions."""
+    at = low + 256 * np.arange(POSITIONS)[None, :]
+    mode = np.bincount(at.ravel(), minlength=256 * POSITIONS).reshape(POSITIONS, 256).argmax(1)
+    return int((low == mode).sum(1).argmax())
+
+
 def leader_batches(batches, threshold: float):
     """Groups (node, part) of items: each item with the first leader that it looks linked to. An item that no
-    leader before it has is a leader. All groups of a table take a step at a time."""
-    for rows, start, _ in whole_groups(batches, ["node", "part"]):
+    leader before it has is a leader: first, where many are left, the one in their middle, which is held against all
+    that it may be linked to; then the least. All groups of a table take such a step at a time."""
+    for rows, start, end in whole_groups(batches, ["node", "part"]):
         item, size, low = rows["item"].to_numpy(), rows["size"].to_numpy(), lows_of(rows)
-        order = np.lexsort((item, start))
         a, b = [], []
+        gone = np.zeros(len(item), bool)
+        for p in np.unique(start[end - start >= CROWD]):
+            for _ in range(CROWDS):
+                left = np.arange(p, end[p])[~gone[p : end[p]]]
+                if len(left) < CROWD:
+                    break
+                lead = left[medoid(low[left])]
+                may = left[alike(low, size, np.full(len(left), lead), left, SKETCH_LEAST, threshold)]
+                a.append(np.full(len(may) - 1, item[lead]))
+                b.append(item[may[may != lead]])
+                led = alike(low, size, np.full(len(may), lead), may, threshold, threshold)
+                gone[may[led]] = True
+        order = np.lexsort((item, start))
+        order = order[~gone[order]]
         while len(order) > 1:
             group = start[order]
             new = np.concatenate([[True], group[1:] != group[:-1]])
@@ -235,13 +259,16 @@ def leader_batches(batches, threshold: float):
 
 
 def cross_batches(batches, threshold: float):
-    """Tiles (node, i, j): the pairs of a ``left`` and a ``right`` item of different classes that may be linked."""
+    """Tiles (node, i, j): the pairs of a ``left`` and a ``right`` item of different classes that may be linked. The
+    node of a tile of many such pairs is returned in place of them, to be compared as a whole."""
+    import pyarrow as pa
+
     for rows, start, end in whole_groups(batches, ["node", "i", "j"]):
         item, size, comp, low = rows["item"].to_numpy(), rows["size"].to_numpy(), rows["comp"].to_numpy(), lows_of(rows)
         left, right = (rows[c].to_numpy() for c in ("left", "right"))
         xs = np.flatnonzero(left)
         many = np.cumsum(end[xs] - start[xs])
-        a, b = [], []
+        a, b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
         for part in np.split(xs, np.flatnonzero(np.diff(many // 500_000)) + 1):
             n = end[part] - start[part]
             x = np.repeat(part, n)
@@ -249,11 +276,45 @@ def cross_batches(batches, threshold: float):
             ok = right[y] & (comp[x] != comp[y]) & (item[x] != item[y])
             x, y = x[ok], y[ok]
             ok = alike(low, size, x, y, SKETCH_LEAST, threshold)
-            if ok.any():
-                a.append(np.minimum(item[x[ok]], item[y[ok]]))
-                b.append(np.maximum(item[x[ok]], item[y[ok]]))
-        if a:
-            yield pairs_batch(a, b)
+            a.append(x[ok])
+            b.append(y[ok])
+        x, y = np.concatenate(a), np.concatenate(b)
+        met = np.bincount(start[x], minlength=len(item))
+        dense = met > DENSE * (end - start)[np.arange(len(item))]
+        few = ~dense[start[x]]
+        x, y = x[few], y[few]
+        names = np.flatnonzero(dense & (np.arange(len(item)) == start))
+        no = pa.nulls(len(names), pa.int64())
+        columns = ["a", "b", "node"]
+        yield pa.RecordBatch.from_arrays([pa.array(np.minimum(item[x], item[y])), pa.array(np.maximum(item[x], item[y])), pa.nulls(len(x), pa.int64())], columns)
+        yield pa.RecordBatch.from_arrays([no, no, pa.array(rows["node"].to_numpy()[names])], columns)
+
+
+def dense_batches(batches, threshold: float):
+    """Tiles (node, i, j) with texts: links that join classes, one for each step of joining them."""
+    for _, rows in streamed(batches, ["node", "i", "j"]):
+        item, comp = rows["item"].to_numpy(), rows["comp"].to_numpy()
+        left, right = (np.flatnonzero(rows[c].to_numpy(zero_copy_only=False)) for c in ("left", "right"))
+        sets = [shingle_set(t.as_py()) for t in rows["text"]]
+        x, y = np.nonzero(similar([sets[k] for k in left], [sets[k] for k in right], threshold) & (comp[left][:, None] != comp[right][None, :]))
+        if not len(x):
+            continue
+        x, y = left[x], right[y]
+        _, first = np.unique(np.stack([np.minimum(comp[x], comp[y]), np.maximum(comp[x], comp[y])]), axis=1, return_index=True)
+        top: dict[int, int] = {}
+
+        def find(c: int) -> int:
+            while top.setdefault(c, c) != c:
+                top[c] = c = top[top[c]]
+            return c
+
+        kept = []
+        for k in first:
+            p, q = find(int(comp[x[k]])), find(int(comp[y[k]]))
+            if p != q:
+                top[max(p, q)] = min(p, q)
+                kept.append(k)
+        yield pairs_batch([np.minimum(item[x[kept]], item[y[kept]])], [np.maximum(item[x[kept]], item[y[kept]])])
 
 
 def compare_batches(batches):
@@ -274,7 +335,25 @@ def compare_batches(batches):
         yield pa.RecordBatch.from_arrays([pa.array([item] * len(others), pa.int64()), pa.array(ids[others], pa.int64()), pa.array(both, pa.int32()), pa.array(either, pa.int32())], ["a", "b", "both", "either"])
 
 
+def runs_of(sets: list[np.ndarray], most: int = 1_000_000) -> list[tuple[int, int]]:
+    """Runs [a, b) of sets of about ``most`` members."""
+    if not sets:
+        return []
+    at = np.cumsum([len(x) for x in sets]) // most
+    edges = [0, *(np.flatnonzero(np.diff(at)) + 1).tolist(), len(sets)]
+    return list(zip(edges, edges[1:], strict=False))
+
+
 def similar(sets_a: list[np.ndarray], sets_b: list[np.ndarray], threshold: float) -> np.ndarray:
+    """Which sets of a and of b reach the threshold; long sets are taken a few at a time."""
+    out = np.zeros((len(sets_a), len(sets_b)), bool)
+    for a, b in runs_of(sets_a):
+        for c, d in runs_of(sets_b):
+            out[a:b, c:d] = _similar(sets_a[a:b], sets_b[c:d], threshold)
+    return out
+
+
+def _similar(sets_a: list[np.ndarray], sets_b: list[np.ndarray], threshold: float) -> np.ndarray:
     """Which sets of a and of b reach the threshold: matrix products over runs of the common universe."""
     na, nb = np.array([len(s) for s in sets_a], np.float64), np.array([len(s) for s in sets_b], np.float64)
     flat = np.concatenate([*sets_a, *sets_b]) if sets_a or sets_b else np.zeros(0, np.uint64)
@@ -362,9 +441,9 @@ class Join:
         self.repeated = None if repeated.isEmpty() else repeated
         self.texts = None
 
-    def fetch(self, pairs: DataFrame) -> None:
-        """Adds the texts of the pairs' items to those at hand."""
-        met = pairs.select(F.col("a").alias("item")).unionByName(pairs.select(F.col("b").alias("item"))).distinct()
+    def fetch(self, items: DataFrame) -> None:
+        """Adds the texts of the items to those at hand."""
+        met = items.distinct()
         if self.texts is not None:
             met = met.join(self.texts.select("item"), "item", "left_anti")
         met = met.join(self.items.select("item", "k.doc_id", "k.text_key"), "item")
@@ -374,7 +453,7 @@ class Join:
     def linked(self, pairs: DataFrame) -> DataFrame:
         """Those of the pairs (a, b) that reach the threshold."""
         pairs = durable(pairs.join(self.items.select(F.col("item").alias("b"), "size"), "b"))
-        self.fetch(pairs)
+        self.fetch(pairs.select(F.col("a").alias("item")).unionByName(pairs.select(F.col("b").alias("item"))))
         return compared(pairs, self.texts).where(F.col("both") >= self.threshold * F.col("either")).select("a", "b")
 
     def likely(self) -> DataFrame:
@@ -386,10 +465,17 @@ class Join:
         rows = rows.join(self.lows, "item").repartition("node", "part").sortWithinPartitions("node", "part")
         return rows.mapInArrow(shipped("noisytree.llm.near_dup", "leader_batches", threshold=self.threshold), "a long, b long").distinct()
 
-    def across(self, nodes: DataFrame) -> DataFrame:
-        """Pairs of different classes that may be linked, of one of them not of the node's commonest class.
-        nodes: node, item, comp, n, m (items outside the commonest class), most (that class)."""
-        blocks = lambda n: F.greatest(F.lit(1), F.ceil(F.col(n) / self.tile).cast("int"))
+    def mixed(self, rows: DataFrame) -> DataFrame:
+        """rows (node, item, comp) of the nodes of several classes, with n (items), m (items outside the commonest
+        class), most (that class) and head (the least item)."""
+        by_class = rows.groupBy("node", "comp").agg(F.count("*").alias("c"), F.min("item").alias("head")).groupBy("node")
+        mixed = by_class.agg(F.sum("c").alias("n"), F.max(F.struct("c", "comp")).alias("top"), F.count("*").alias("k"), F.min("head").alias("head")).where("k > 1")
+        return durable(rows.join(mixed.select("node", "n", (F.col("n") - F.col("top.c")).alias("m"), F.col("top.comp").alias("most"), "head"), "node"))
+
+    def tiles(self, nodes: DataFrame, tile: int) -> DataFrame:
+        """node, i, j, left, right, item, comp: tiles of the items outside their node's commonest class against all of
+        the node (see mixed)."""
+        blocks = lambda n: F.greatest(F.lit(1), F.ceil(F.col(n) / tile).cast("int"))
         rows = nodes.withColumn("is", blocks("m")).withColumn("js", blocks("n")).withColumn("rare", F.col("comp") != F.col("most"))
         mine = lambda n: F.pmod(F.xxhash64("item"), F.col(n)).cast("int")
         place = lambda i, j, left, right: F.struct(i.alias("i"), j.alias("j"), left.alias("left"), right.alias("right"))
@@ -398,28 +484,48 @@ class Join:
         as_left = F.transform(F.sequence(F.lit(0), F.col("js") - 1), lambda j: place(mine("is"), j, yes, no))
         one = F.array(place(F.lit(0), F.lit(0), F.col("rare"), yes))
         places = F.when((F.col("is") == 1) & (F.col("js") == 1), one).when(F.col("rare"), F.concat(as_right, as_left)).otherwise(as_right)
-        rows = rows.withColumn("place", F.explode(places)).select("node", "place.*", "item", "comp").join(self.lows, "item")
-        rows = rows.repartition("node", "i", "j").sortWithinPartitions("node", "i", "j")
-        return rows.mapInArrow(shipped("noisytree.llm.near_dup", "cross_batches", threshold=self.threshold), "a long, b long")
+        return rows.withColumn("place", F.explode(places)).select("node", "place.*", "item", "comp")
+
+    def across(self, nodes: DataFrame) -> DataFrame:
+        """Of nodes: pairs (a, b) that may be linked, and the nodes that have many."""
+        rows = self.tiles(nodes, self.tile).join(self.lows, "item").repartition("node", "i", "j").sortWithinPartitions("node", "i", "j")
+        return rows.mapInArrow(shipped("noisytree.llm.near_dup", "cross_batches", threshold=self.threshold), "a long, b long, node long")
+
+    def joined(self, found: list[tuple[DataFrame, DataFrame]]) -> DataFrame:
+        """Links (a, b) between classes. found: nodes and what across() says of each."""
+        names = ["node", "i", "j"]
+        whole = [nodes.join(said.where("a is null").select("node").distinct(), "node") for nodes, said in found]
+        links = self.linked(reduce(DataFrame.unionByName, [said.where("a is not null").select("a", "b") for _, said in found]).distinct())
+        # An item may stand in many such nodes: those of one least item are taken together.
+        whole = self.mixed(reduce(DataFrame.unionByName, whole).select(F.col("head").alias("node"), "item", "comp").distinct())
+        if whole.isEmpty():
+            return links
+        self.fetch(whole.select("item"))
+        rows = self.tiles(whole, self.block).join(self.texts, "item").repartition(*names).sortWithinPartitions(*names)
+        return links.unionByName(rows.mapInArrow(shipped("noisytree.llm.near_dup", "dense_batches", threshold=self.threshold), "a long, b long"))
 
     def classes(self) -> DataFrame:
         """node, comp of the items that are linked with another (comp: the least item of the class)."""
         level = self.level
-        known_classes = durable(components(self.linked(self.likely())))
-        pairs = []
+        self.stars = durable(self.linked(self.likely()))
+        known_classes = durable(components(self.stars))
+        found = []
         for depth in range(1, self.depth + 1):
             # Only nodes that hold more than one class can add a link that matters.
             known = level.join(known_classes.withColumnRenamed("node", "item"), "item", "left").select("node", "item", F.coalesce("comp", "item").alias("comp"))
-            by_class = known.groupBy("node", "comp").agg(F.count("*").alias("c")).groupBy("node")
-            mixed = by_class.agg(F.sum("c").alias("n"), F.max(F.struct("c", "comp")).alias("top"), F.count("*").alias("k")).where("k > 1")
-            known = durable(known.join(mixed.select("node", "n", (F.col("n") - F.col("top.c")).alias("m"), F.col("top.comp").alias("most")), "node"))
-            ready = F.lit(depth == self.depth) | (F.col("n") <= self.small) | (F.col("m") <= self.few)
-            pairs.append(durable(self.across(known.where(ready)).distinct()))
+            known = self.mixed(known)
+            ready = (F.col("n") <= self.small) | (F.col("m") <= self.few)
+            found.append((known.where(ready), durable(self.across(known.where(ready)))))
             many = known.where(~ready)
             if many.isEmpty():
                 break
+            if depth == self.depth:
+                # What does not part lies together in many nodes: those of one least item are taken together.
+                known = self.mixed(many.select(F.col("head").alias("node"), "item", "comp").distinct())
+                found.append((known, durable(self.across(known))))
+                break
             level = durable(many.select("node", "item").join(self.items.select("item", "sig"), "item").mapInArrow(shipped("noisytree.llm.near_dup", "child_batches"), "item long, node long"))
-        links = durable(self.linked(reduce(DataFrame.unionByName, pairs).distinct()))
+        links = durable(self.joined(found))
         if links.isEmpty():
             return known_classes
         # The new links join classes: settle these, then name items by them.
@@ -438,9 +544,9 @@ class Join:
         large = durable(items.where(~small))
         sure = None
         if not large.isEmpty():
-            # The pivot: the item that the class is best seen from, the one of median size.
-            middle = large.groupBy("comp").agg(F.percentile_approx("size", 0.5, 100).alias("size"))
-            pivots = large.join(middle, ["comp", "size"]).groupBy("comp").agg(F.min("item").alias("a"))
+            # The pivot: the leader of most items.
+            led = self.stars.groupBy("a").agg(F.count("*").alias("led")).withColumnRenamed("a", "item")
+            pivots = large.join(led, "item", "left").groupBy("comp").agg(F.max(F.struct(F.coalesce("led", F.lit(0)).alias("led"), "item")).alias("k")).select("comp", F.col("k.item").alias("a"))
             pairs = large.join(pivots, "comp").where("item <> a").select("a", F.col("item").alias("b"), "size")
             # Steps of a quarter of the greatest distance that is a link.
             step = F.floor((1 - F.col("both") / F.col("either")) / ((1 - self.threshold) / 4)).cast("int")
