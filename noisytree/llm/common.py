@@ -29,6 +29,14 @@ def let(value: Column, body) -> Column:
     return F.transform(F.array(value), body)[0]
 
 
+def free(name: str, taken) -> str:
+    """name, with underscores before it until no column is called so."""
+    lower = {c.lower() for c in taken}
+    while name.lower() in lower:
+        name = "_" + name
+    return name
+
+
 def sha256_text(c: Column) -> Column:
     return F.sha2(c.cast("binary"), 256)
 

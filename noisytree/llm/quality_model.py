@@ -19,7 +19,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from noisytree.llm.common import parts, shipped
+from noisytree.llm.common import free, parts, shipped
 from noisytree.llm.shingles import words
 
 BITS = 14
@@ -115,15 +115,15 @@ def feature_batches(batches):
         yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("label"), *cols], ["doc_id", "label", "at", "x"])
 
 
-def score_batches(batches, model: dict | None, keep: list[str]):
+def score_batches(batches, model: dict | None, keep: list[str], text: str, out: str):
     import pyarrow as pa
 
-    for batch in parts(batches, "_text"):
+    for batch in parts(batches, text):
         scores = []
-        for t in batch.column("_text").to_pylist():
+        for t in batch.column(text).to_pylist():
             z = margin(model, *features(t))[0] if model else 0.0
             scores.append(float(1 / (1 + np.exp(-max(-30.0, min(30.0, z))))))
-        yield pa.RecordBatch.from_arrays([batch.column(c) for c in keep] + [pa.array(scores, pa.float64())], [*keep, "_score"])
+        yield pa.RecordBatch.from_arrays([batch.column(c) for c in keep] + [pa.array(scores, pa.float64())], [*keep, out])
 
 
 def held_out(key: Column) -> Column:
@@ -147,9 +147,10 @@ def fit(docs: DataFrame, labels: DataFrame, key: str = "doc_id", label: str = "q
     return train(examples) if examples else None
 
 
-def score(docs: DataFrame, model: dict | None, text: str = "text", keep: tuple[str, ...] | None = None) -> DataFrame:
-    """keep... (all columns by default) and _score of each row."""
-    keep = tuple(docs.columns) if keep is None else keep
-    fields = [f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep] + ["_score double"]
-    run = shipped("noisytree.llm.quality_model", "score_batches", model=model, keep=list(keep))
-    return docs.select(*keep, F.col(text).cast("string").alias("_text")).mapInArrow(run, ", ".join(fields))
+def score(docs: DataFrame, model: dict | None, text: str = "text", keep: tuple[str, ...] | None = None, name: str = "_score") -> DataFrame:
+    """keep... (all columns by default) and the score of each row as ``name``; a column of docs that is called so gives way."""
+    keep = tuple(c for c in (docs.columns if keep is None else keep) if c.lower() != name.lower())
+    fields = [f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep] + [f"`{name}` double"]
+    read = free("_text", docs.columns)
+    run = shipped("noisytree.llm.quality_model", "score_batches", model=model, keep=list(keep), text=read, out=name)
+    return docs.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text}`").cast("string").alias(read)).mapInArrow(run, ", ".join(fields))
