@@ -235,7 +235,7 @@ def encode_batches(batches, path: str, keep: list[str], ids: bool, decoded: bool
     own = codec(path)
     text_of = own.text_of.__getitem__
     for whole in batches:
-        for batch in slices(whole, most=4_000_000):
+        for batch in slices(whole, most=1_500_000):
             got = own.encode_all([t or "" for t in batch.column("text").to_pylist()])
             back = [own.decode(x) for x in got]
             cols = [batch.column(c) for c in keep] + [pa.array([len(x) for x in got], pa.int64())]
@@ -254,7 +254,9 @@ def encode_batches(batches, path: str, keep: list[str], ids: bool, decoded: bool
 
 
 def encode(docs: DataFrame, path: str, ids: bool = True, decoded: bool = True, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """keep..., n_tokens, ids_sha256, decoded_sha256, and where asked for ids and decoded, of docs.text."""
+    """keep..., n_tokens, ids_sha256, decoded_sha256, and where asked for ids and decoded, of docs.text. A column to
+    keep that is called as one of these gives way."""
+    keep = tuple(c for c in keep if c not in ("n_tokens", "ids_sha256", "decoded_sha256", "ids", "decoded"))
     fields = [f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep]
     fields += ["n_tokens long", "ids_sha256 string", "decoded_sha256 string"]
     fields += ["ids array<int>"] * ids + ["decoded string"] * decoded
