@@ -10,39 +10,50 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from noisytree.llm import bpe, mixing, near_dup, quality_model, secrets
-from noisytree.llm.common import table, written
+from noisytree.llm.common import free, table, written
 from noisytree.llm.queries import tokenizer_path
 
 
 def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the classifier rejects go."""
+    """Documents that the classifier rejects go. A null or empty text is scored by its structure alone; repeated rows
+    get one score and stay or go together; without labels every score is 0.5, so all go; an empty table stays empty;
+    columns of any name pass through."""
+    name = free("_score", docs.columns)
     model = quality_model.fit(docs, table(spark, sf_dir, "labels"))
-    return quality_model.score(docs, model).where(F.col("_score") >= quality_model.THRESHOLD).select(*docs.columns)
+    return quality_model.score(docs, model, name=name).where(F.col(name) >= quality_model.THRESHOLD).select(*docs.columns)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class of near duplicates stays: the one with the least id."""
+    """One document of each class of near duplicates stays: the one with the least id, of equal ids the one with the
+    least hash of its text. A null text, or one without words, is like no other but its own repeated row; a missing id
+    counts as the least; an empty table stays empty; columns of any name pass through."""
     return near_dup.deduplicated(docs)
 
 
 def secret_scan(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Secrets that look live are replaced by a mark; widely copied examples stay."""
-    known = F.coalesce("doc_id", F.lit(-(1 << 63)).cast("long")).alias("_doc")  # a missing id matches itself
-    live = secrets.scan(docs).where(F.size("live") > 0).select(known, F.col("text_key").alias("_key"), F.col("live").alias("_live")).dropDuplicates(["_doc", "_key"])
-    text = F.coalesce(F.col("text"), F.lit(""))
-    out = docs.withColumn("_key", F.xxhash64(text)).withColumn("_doc", known).join(live, ["_doc", "_key"], "left")
-    changed = F.when(F.col("_live").isNull(), F.col("text")).otherwise(secrets.redacted(text, F.col("_live")))
-    out = out.withColumn("text", changed).withColumn("n_chars", F.when(F.col("_live").isNull(), F.col("n_chars")).otherwise(F.length("text").cast("long")))
-    return out.select(*docs.columns)
+    """Secrets that look live are replaced by a mark; widely copied examples stay. A null text stays null; repeated
+    rows are changed alike; a missing id matches itself; an empty table stays empty; columns of any name pass through."""
+    text, doc = F.coalesce(F.col("text"), F.lit("")), F.coalesce("doc_id", F.lit(-(1 << 63)).cast("long"))
+    live = secrets.scan(docs).where(F.size("live") > 0).select(doc.alias("doc"), F.col("text_key").alias("key"), "live").dropDuplicates(["doc", "key"])
+    # The row travels in one struct, so that no column can clash with the keys.
+    rows = docs.select(doc.alias("doc"), F.xxhash64(text).alias("key"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")).join(live, ["doc", "key"], "left")
+    old = F.col("row.text")
+    new = F.when(F.col("live").isNull(), old).otherwise(secrets.redacted(F.coalesce(old, F.lit("")), F.col("live")))
+    changed = {"text": new, "n_chars": F.when(F.col("live").isNull(), F.col("row.n_chars")).otherwise(F.length(new).cast("long"))}
+    return rows.select(*[changed.get(c, F.col(f"row.`{c}`")).alias(c) for c in docs.columns])
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Sources at their target weights; a document stands as often as it is repeated."""
-    return mixing.mix(docs).select(*docs.columns)
+    """Sources at their target weights; a document stands as often as it is repeated, a repeated row for itself. A null
+    source is a source; a source without text is left out; an empty table stays empty."""
+    own = {c: free("_own" + c, docs.columns) for c in docs.columns if c.startswith("_")}  # mix() names columns so
+    mixed = mixing.mix(docs.withColumnsRenamed(own)).select(*[own.get(c, c) for c in docs.columns])
+    return mixed.withColumnsRenamed({v: k for k, v in own.items()})
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The ids of each text, with the digests of ids and of what they decode to."""
+    """The ids of each text, with the digests of ids and of what they decode to. A null text has no ids; repeated rows
+    get a row each; an empty table stays empty."""
     return bpe.encode(docs, tokenizer_path("byte_bpe_50k.json"), decoded=False, keep=("doc_id", "lang", "source"))
 
 
