@@ -51,3 +51,21 @@ def test_stages_one_by_one(spark, tmp_path):
         assert r.ids == lib.encode(texts[r.doc_id], add_special_tokens=False).ids
     assert sorted((r.doc_id, r.ids_sha256) for r in corpus_pipeline.run(spark, TINY).collect()) == sorted((r.doc_id, r.ids_sha256) for r in got)
     assert np.mean([r.n_tokens for r in got]) > 1
+
+
+def test_stages_on_empty_tables_and_clashing_names(spark, docs, tmp_path):
+    names = ["_score", "_text", "_doc", "_key", "_live", "row", "_copy", "_rate", "live", "item", "n_tokens"]
+    spark.createDataFrame([], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    w = "a b c d e f g h i j k l m"
+    for texts in ([], [w, w, None, "", "token = 'Zq81Kd0Lx7PwT3vB'"]):
+        df = docs(texts, extra=names)
+        for name, stage in corpus_pipeline.STAGES[1:]:
+            got = stage(spark, df, str(tmp_path))
+            assert got.count() == 0 or texts, name
+            if name != "bpe":
+                assert got.columns == df.columns and got.where(" or ".join(f"{c} <> 'x'" for c in names)).count() == 0
+        assert corpus_pipeline.STAGES[0][1](spark, df, str(tmp_path)).columns == df.columns
+    kept = corpus_pipeline.near_duplicates(spark, docs([w, w, None, ""]), str(tmp_path))
+    assert sorted(r.doc_id for r in kept.collect()) == [0, 2, 3]
+    scanned = corpus_pipeline.secret_scan(spark, docs([None, "token = 'Zq81Kd0Lx7PwT3vB'"]), str(tmp_path)).orderBy("doc_id").collect()
+    assert scanned[0].text is None and "Zq81" not in scanned[1].text and scanned[1].n_chars == len(scanned[1].text)
