@@ -64,7 +64,7 @@ def shipped(module: str, name: str, **kwargs):
     return run
 
 
-def slices(batch, column: str = "text", most: int = 1_000_000):
+def slices(batch, column: str = "text", most: int = 400_000):
     """Parts of an Arrow batch of about so many bytes of text, so that no more becomes Python objects at once."""
     import numpy as np
     import pyarrow.compute as pc

@@ -36,7 +36,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from noisytree.llm.common import components, durable, parts, shipped, written
-from noisytree.llm.shingles import U, mix, shingle_set
+from noisytree.llm.shingles import U, column_shingles, mix, shingle_set
 
 THRESHOLD = 0.8
 RECALL = 0.9999
@@ -95,8 +95,11 @@ def sketch_batches(batches):
 
     for batch in parts(batches):
         keys, size, sigs = [], [], []
-        for t in batch.column("text").to_pylist():
-            s = shingle_set(t)
+        text = batch.column("text")
+        flat, many = column_shingles(text)
+        end = np.cumsum(many)
+        for i, (a, b) in enumerate(zip(end - many, end, strict=True)):
+            s = np.unique(flat[a:b]) if b > a else shingle_set(text[i].as_py())  # a text of a few words
             size.append(len(s))
             keys.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest() if len(s) else None)
             sigs.append(sketch(s).tobytes() if len(s) else None)

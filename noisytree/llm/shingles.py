@@ -67,6 +67,43 @@ def shingles(word: np.ndarray, size: int = 5, whole: bool = False) -> np.ndarray
         return mix(out)
 
 
+def column_words(column) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the words of an Arrow column of texts, one text after the other, and how many each text has. Words are
+    those of words(), taken from the column's own bytes."""
+    import pyarrow as pa
+
+    _, at, data = column.buffers()
+    wide = np.int64 if pa.types.is_large_string(column.type) else np.int32
+    offset = np.frombuffer(at, wide)[column.offset : column.offset + len(column) + 1].astype(np.int64)
+    raw = np.frombuffer(data, np.uint8)[offset[0] : offset[-1]] if data is not None else np.zeros(0, np.uint8)
+    offset -= offset[0]
+    if not len(raw):
+        return np.zeros(0, np.uint64), np.zeros(len(column), np.int64)
+    inside = ~_SPACE[raw]
+    first, last = inside.copy(), inside.copy()
+    first[1:] &= ~inside[:-1]
+    last[:-1] &= ~inside[1:]
+    some = offset[1:] > offset[:-1]  # a word ends with its text
+    first[offset[:-1][some]] = inside[offset[:-1][some]]
+    last[offset[1:][some] - 1] = inside[offset[1:][some] - 1]
+    start, end = np.flatnonzero(first), np.flatnonzero(last)
+    power, inverse = _powers(len(raw) + 1)
+    with np.errstate(over="ignore"):
+        value = _TABLE[raw]
+        value *= power[: len(raw)]
+        lead = value[start]
+        total = np.cumsum(value, dtype=np.uint64, out=value)
+        return mix((total[end] - total[start] + lead) * inverse[start]), np.diff(np.searchsorted(start, offset))
+
+
+def column_shingles(column, size: int = 5) -> tuple[np.ndarray, np.ndarray]:
+    """shingles() of each text of an Arrow column, one text after the other, and how many each text has."""
+    word, many = column_words(column)
+    every = shingles(word, size)
+    room = np.cumsum(many)[np.repeat(np.arange(len(many)), many)][: len(every)] - np.arange(len(every))  # words to the text's end
+    return every[room >= size], np.maximum(0, many - size + 1)
+
+
 def shingle_set(text: str | None, size: int = 5) -> np.ndarray:
     """The distinct shingles of a text, ascending."""
     return np.unique(shingles(words((text or "").encode("utf-8", "surrogatepass"))[0], size, whole=True))
