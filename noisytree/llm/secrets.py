@@ -19,7 +19,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from noisytree.llm.common import let, sha256_text
+from noisytree.llm.common import durable, let, sha256_text
 
 #: Base patterns (fixed values) with the group that is the secret and the least length of it.
 KINDS = ("assign", "access", "hex")
@@ -100,7 +100,8 @@ def scan(docs: DataFrame, key: str = "doc_id", owner: str = "source", repo: str
     """
     t = F.coalesce(F.col(text).cast("string"), F.lit(""))
     rows = docs.withColumn("text_key", F.xxhash64(t))
-    got = candidates(rows.withColumn("_row", F.struct(F.col(key), F.col("text_key"))), "_row", owner, repo, text)
+    # Spans only, written once: three steps read them, and each would run all patterns over all texts again.
+    got = durable(candidates(rows.withColumn("_row", F.struct(F.col(key), F.col("text_key"))), "_row", owner, repo, text))
     some = got.where((F.size("base") > 0) | (F.size("wide") > 0))
     spans = some.select("key", F.explode(F.concat("base", "wide")).alias("s")).distinct()
     owned = ownership(some)
