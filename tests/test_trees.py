@@ -4,6 +4,7 @@ from pyspark.sql import functions as F
 
 from noisytree.functions import hilbert
 from noisytree.functions.cells import with_boxes
+from noisytree.functions.noise import DEFAULT
 from noisytree.operators import answer, counts, measures, prune, trees
 from noisytree.plans import budget
 from noisytree.plans.build import TreeSpec, build, split_budgets
@@ -12,7 +13,7 @@ from noisytree.plans.ledger import Entry, Ledger
 from noisytree.plans.schema import assert_released
 from noisytree.sources import workloads
 from noisytree.sources.points import points, read_points
-from noisytree.sources.releases import read_release, release, to_wkt
+from noisytree.sources.releases import publish, read_release, release, to_wkt
 from tests.conftest import TINY
 
 TOY = plane(0.0, 4.0, 0.0, 4.0)
@@ -140,11 +141,11 @@ def test_sinks(spark, tmp_path):
     p = points(spark, TINY, "EV")
     nodes = build(p, EV, TreeSpec("quad", 2))
     with pytest.raises(ValueError):
-        release(counts.tree_counts(p, EV, 2), str(tmp_path / "r"), Entry("EV", "bad", 1.0), book)
-    release(nodes, str(tmp_path / "r"), Entry("EV", "t", 1.0), book)
+        release(counts.tree_counts(p, EV, 2), str(tmp_path / "r"), Entry("EV", "bad", 1.0), book, DEFAULT, 2, testing=True)
+    release(nodes, str(tmp_path / "r"), Entry("EV", "t", 1.0), book, DEFAULT, 2, testing=True)
     assert read_release(spark, str(tmp_path / "r"), "t").count() == 21
     with pytest.raises(ValueError):
-        release(nodes, str(tmp_path / "r"), Entry("EV", "t", 1.0), book)
+        release(nodes, str(tmp_path / "r"), Entry("EV", "t", 1.0), book, DEFAULT, 2, testing=True)
     p.select("pid", "x", "y").write.option("header", True).csv(str(tmp_path / "csv"))
     again = read_points(spark, "csv", str(tmp_path / "csv"), {"pid": "pid", "x": "x", "y": "y"}, EV, schema="pid string, x double, y double", header=True)
     assert again.count() == p.count()
@@ -166,3 +167,23 @@ def test_optimised_quadtree_beats_the_plain_one(spark):
         got = answer.canonical(build(p, LI, spec), q, LI)
         err[name] = measures.relative_error(got, truth, q).where("shape = 'square_large'").agg(F.percentile("rel_err", F.lit(0.5))).first()[0]
     assert err["best"] < err["plain"]
+
+
+def test_a_release_is_private_by_default(spark, tmp_path):
+    p = points(spark, TINY, "EV")
+    book, path = Ledger(spark, str(tmp_path / "ledger")), str(tmp_path / "r")
+    spec = TreeSpec("quad", 2, 1.0)
+    nodes = build(p, EV, spec)
+    with pytest.raises(ValueError, match="public seed"):
+        release(nodes, path, Entry("EV", "open", 1.0), book, DEFAULT, 2)
+    with pytest.raises(ValueError, match="spends"):
+        release(nodes, path, Entry("EV", "dear", 0.5), book, DEFAULT, 2, testing=True)
+    with pytest.raises(ValueError, match="no release"):
+        publish(p, EV, spec.but(exact_counts=True), path, "EV", "exact", book)
+    assert book.entries().count() == 0
+    publish(p, EV, spec, path, "EV", "one", book)
+    publish(p, EV, spec, path, "EV", "two", book, neighbor="replace")
+    one, two = ({(r.level, r.node_id): r for r in read_release(spark, path, t).collect()} for t in ("one", "two"))
+    assert one.keys() == two.keys() and not {r.y for r in one.values()} & {r.y for r in two.values()}
+    assert all(abs(two[k].eps_count - one[k].eps_count / 2) < 1e-12 for k in one)
+    assert book.spent("EV") == (2.0, 0.0)
