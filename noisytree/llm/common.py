@@ -141,20 +141,19 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     rows never exceeds that of the input, and hubs are met through a partial minimum and a join
     whose skewed side can be split, never by gathering a hub's neighbours in a task.
     """
-    sums = lambda e: tuple(e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
     e = durable(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct())
-    before = sums(e)
-    for _ in range(rounds if before[0] else 1):
-        both = e.select("u", "v").unionByName(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
+    for _ in range(rounds):
+        # Settled: each greater node has one lesser one, which has none itself. Counted by node with partial sums.
+        ends = e.selectExpr("inline(array(struct(u as node, 1 as lower, 0 as upper), struct(v as node, 0 as lower, 1 as upper)))")
+        unsettled = ends.groupBy("node").agg(F.sum("lower").alias("lower"), F.max("upper").alias("upper")).where("lower + upper > 1 and lower > 0")
+        if not unsettled.count():
+            break
+        both = e.selectExpr("inline(array(struct(u, v), struct(v as u, u as v)))")
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
         large = both.join(least, "u").where("v > u and v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
         e = durable(small.unionByName(low.select("u", F.col("m").alias("v"))).distinct())
-        now = sums(e)
-        if now == before:
-            break
-        before = now
     else:
         raise RuntimeError("components did not settle")
     found = e.groupBy("u").agg(F.min("v").alias("comp")).select(F.col("u").alias("node"), "comp")

@@ -402,7 +402,7 @@ def compared(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     """a, b, both, either of pairs of items (a, b, size: shingles of b). A left item's partners are dealt to parts of
     a bounded number of shingles, each with the left text once, so no item's partners are one task's."""
     many = pairs.groupBy("a").agg(F.ceil(F.sum("size") / BLOCK_SHINGLES).cast("int").alias("parts"))
-    dealt = durable(pairs.join(many, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.greatest("parts", F.lit(1))).cast("int").alias("part")))
+    dealt = pairs.join(many, "a").select("a", "b", F.pmod(F.xxhash64("b"), F.greatest("parts", F.lit(1))).cast("int").alias("part"))
     rows = dealt.select("a", "part", F.col("b").alias("item"), F.lit(False).alias("left")).unionByName(dealt.select("a", "part").distinct().select("a", "part", F.col("a").alias("item"), F.lit(True).alias("left")))
     rows = rows.join(texts, "item").repartition("a", "part").sortWithinPartitions("a", "part").select("a", "part", "item", "left", "text")
     return rows.mapInArrow(shipped("noisytree.llm.near_dup", "compare_batches"), "a long, b long, both int, either int")
