@@ -31,7 +31,7 @@ def test_runs(spark, name):
     assert catalogue.queries()[name](spark, TINY).count() > 0
 
 
-@pytest.mark.parametrize("name", ["amplification_table", "budget_geometric", "budget_uniform", "budget_workload_nodes", "leaf_boxes"])
+@pytest.mark.parametrize("name", ["amplification_table", "budget_geometric", "budget_uniform", "budget_workload_nodes", "leaf_boxes", "worst_case_curve"])
 def test_reads_a_given_table(spark, name):
     assert any(t in f for f in catalogue.queries()[name](spark, TINY).inputFiles() for t in ("lineitem", "orders"))
 
