@@ -2,6 +2,7 @@ import hashlib
 import random
 
 import public_tokenizers
+import pyarrow as pa
 import pytest
 from tokenizers import Tokenizer
 
@@ -73,3 +74,36 @@ def test_chunks_are_spliced(spark):
     text = "some words of a long text, " * 500
     n, chunks, widened = token_count.count_long(text, tok, 500, 60)
     assert n == len(tok.encode(text, add_special_tokens=False).ids) and chunks > 20 and widened == 0
+
+
+def test_a_word_is_counted_once_by_the_library(monkeypatch):
+    path = public_tokenizers.path("word_bpe_49k.json")
+    tok, sent = token_count.tokenizer(path), []
+
+    class Spy:
+        def encode_batch_fast(self, texts, **options):
+            sent.extend(texts)
+            return tok.encode_batch_fast(texts, **options)
+
+    words = token_count.Words(Spy())
+    monkeypatch.setattr(token_count, "tokenizer", lambda _: Spy())
+    monkeypatch.setattr(token_count, "words_of", lambda _: words)
+    texts = ["Some words, again\tand again. " * 200, "again<|endoftext|>and\r\nagain " * 200, None, "x" * 5000]
+    batch = pa.RecordBatch.from_pydict({"doc_id": [0, 1, 2, 3], "text": pa.array(texts, pa.string())})
+    for _ in range(2):
+        got = [r["n_tokens"] for b in token_count.count_batches([batch], path, ["doc_id"], 60_000, 2_000, 2048) for r in b.to_pylist()]
+        assert got == [len(tok.encode(t or "", add_special_tokens=False).ids) for t in texts]
+    assert sum(map(len, sent)) < 11_000 and len(sent) == len(set(sent)) + 1  # the long word is not kept
+
+
+def test_words_are_counted_as_in_their_text(byte_path):
+    path = public_tokenizers.path("word_bpe_49k.json")
+    tok, rng = token_count.tokenizer(path), random.Random(5)
+    odd = [" ", "\n", "\t", "\r", "\x0b", "\x1c", "\x85", "\xa0", "\u2028", "\u0301", "\u0308", "\u1161", "가", "ᄀ", "Σ", "İ", "'", "s", "S", "'LL", "<|", "<|endoftext|>", "|>", "1", "-", "é", "ﬁ"]
+    texts = [t or "" for t in ODD] + fuzz(1500) + ["".join(rng.choice(odd) for _ in range(60)) for _ in range(3000)]
+    words = token_count.Words(tok, kept=500)
+    for k in range(0, len(texts), 100):
+        part = texts[k : k + 100]
+        assert words.count(part) == [len(tok.encode(t, add_special_tokens=False).ids) for t in part]
+    assert len(words.of) < 500 + 100 * 60
+    assert token_count.by_words(path) and not token_count.by_words(byte_path)
